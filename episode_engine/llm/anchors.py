@@ -38,15 +38,28 @@ def _byte_codes() -> np.ndarray:
 CODES = _byte_codes()
 
 
+#: Windows that are looked at together, which bounds memory for a text of any length. A run that is cut here is two runs.
+STEP = 1 << 19
+
+
 def anchor_runs(data: np.ndarray, starts: np.ndarray, length: int, k: int) -> tuple[np.ndarray, ...]:
     """Runs of windows with one anchor: first window start, how many, place of the anchor, its hash, hash of all the bytes they cover.
 
     data: bytes of several documents one after another; starts: where each begins, and the end. No window crosses a border.
     """
+    found = []
+    for at in range(0, max(1, len(data) - length + 1), STEP):
+        part = data[at : at + STEP + length - 1]
+        lo, hi = np.searchsorted(starts, (at, at + len(part)), side="right")
+        first, count, anchor, gram, cover = _runs(part, starts[lo:hi] - at, length, k)
+        found.append((first + at, count, anchor + at, gram, cover))
+    return tuple(np.concatenate(x) for x in zip(*found, strict=True))
+
+
+def _runs(data: np.ndarray, borders: np.ndarray, length: int, k: int) -> tuple[np.ndarray, ...]:
     n = len(data)
-    none = (*(np.zeros(0, np.int64) for _ in range(3)), *(np.zeros(0, np.uint64) for _ in range(2)))
     if n < length:
-        return none
+        return *(np.zeros(0, np.int64) for _ in range(3)), *(np.zeros(0, np.uint64) for _ in range(2))
     up, down = _pow(n + 1)
     total = np.zeros(n + 1, dtype=np.uint64)
     np.cumsum(CODES[data] * up[:n], out=total[1:])
@@ -60,10 +73,9 @@ def anchor_runs(data: np.ndarray, starts: np.ndarray, length: int, k: int) -> tu
         v = np.minimum(v[:-step], v[step:])
         have += step
     anchor = (v & _LOW).astype(np.int64)
-    sizes = np.diff(starts)
     inside = np.ones(len(anchor), dtype=bool)
-    for e, size in zip(starts[1:], sizes, strict=True):  # windows that would run over a document's end
-        inside[max(0, e - min(length - 1, size)) : e] = False
+    for e in borders.tolist():  # windows that would run over a document's end
+        inside[max(0, e - length + 1) : e] = False
     change = np.flatnonzero(np.concatenate(([True], (anchor[1:] != anchor[:-1]) | (inside[1:] != inside[:-1]))))
     ends = np.append(change[1:], len(anchor))
     ok = inside[change]
