@@ -82,4 +82,5 @@ def _runs(data: np.ndarray, borders: np.ndarray, length: int, k: int) -> tuple[n
     first, count = change[ok], (ends - change)[ok]
     stop = first + count - 1 + length
     covered = _mix((total[stop] - total[first]) * down[first] + (stop - first).astype(np.uint64) * _U(0x94D049BB133111EB))
-    return first, count, anchor[first], grams[anchor[first]], covered
+    # Anchors have small hashes by choice; mixed once more, they spread evenly.
+    return first, count, anchor[first], _mix(grams[anchor[first]] + _U(1)), covered
