@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, decontam, licenses, packing, quality, suffixes, urls
+from . import chat, ctw, decontam, licenses, packing, quality, suffixes, toxicity, urls
 from .common import table
 from .neardup import near_duplicates
 
@@ -48,6 +48,10 @@ def op5_hyperminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"), width=2, percent=80)
 
 
+def op6_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.toxicity(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op7_reply_trees(spark: SparkSession, sf_dir: str) -> DataFrame:
     given = table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text")
     # Built of columns, so that no Python runs to make the two rows.
@@ -71,13 +75,23 @@ def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urls.url_filter(table(spark, sf_dir, "pages"), rules)
 
 
+def op9_context_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ctw.score(table(spark, sf_dir, "documents"))
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality(table(spark, sf_dir, "documents"))
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from corpus_pipeline import run
+
+    return run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_license_scan, op2_decontaminate, op3_best_two_fit, op4_suffix_dedup, op5_hyperminhash, op7_reply_trees, op8_url_filter, op10_quality_rules]
-    return {f.__name__: f for f in found}
+    found = [op1_license_scan, op2_decontaminate, op3_best_two_fit, op4_suffix_dedup, op5_hyperminhash, op6_toxicity, op7_reply_trees, op8_url_filter, op9_context_tree, op10_quality_rules]
+    return {f.__name__: f for f in [*found, pipeline]}
 
 
 def _sql_list(xs: tuple | list) -> str:
