@@ -35,7 +35,7 @@ from .common import discard, partitions, written
 GRAM = 16
 BLOCK_BYTES = 4_000_000
 #: Suffixes that are looked at to place the borders of ranges, which only balance the mergers' work.
-BORDER_SAMPLE = 20_000
+BORDER_SAMPLE = 4_000
 BLOCKS = "block long, ids binary, sizes binary, data binary"
 _U = np.uint64
 

@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from .common import ascii_lower
 
 #: Rows that are looked at to place the borders of ranges. Borders only balance the work: any borders give the same result.
-BORDER_SAMPLE = 20_000
+BORDER_SAMPLE = 4_000
 BEYOND = "\U0010ffff"
 
 
