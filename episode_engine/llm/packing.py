@@ -53,12 +53,22 @@ class ChunkTokenizer:
         return b"".join(map(self.cache.__getitem__, chunks))
 
 
+_kept: dict[str, ChunkTokenizer] = {}
+
+
+def tokenizer(path: str) -> ChunkTokenizer:
+    """A worker keeps its tokenizer and cache from task to task."""
+    if path not in _kept:
+        _kept[path] = ChunkTokenizer(path)
+    return _kept[path]
+
+
 def cut(docs: DataFrame, tokenizer_path: str, capacity: int = 2048, end_id: int = 0) -> DataFrame:
     """docs(doc_id, text) -> the pieces of each document and their rank among the task's pieces of that length."""
     end = np.asarray([end_id], dtype="<u4").tobytes()
 
     def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tok, ranks, task = ChunkTokenizer(tokenizer_path), np.zeros(capacity + 1, dtype=np.int64), TaskContext.get().partitionId()
+        tok, ranks, task = tokenizer(tokenizer_path), np.zeros(capacity + 1, dtype=np.int64), TaskContext.get().partitionId()
         for b in batches:
             out = []
             for doc, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
