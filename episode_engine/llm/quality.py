@@ -20,6 +20,8 @@ STOP_WORDS = (
     "der die das und ist von zu den mit im "
     "el los las y es con por para una se"
 ).split()
+#: How rules vote on good and bad texts, before anything is learned, and how many rows that is worth.
+GOOD, BAD, PRIOR_ROWS = {1: 0.75, 0: 0.2, -1: 0.05}, {1: 0.35, 0: 0.25, -1: 0.4}, 50.0
 SYMBOLS = r"[^#*$%&|<>]"
 
 
@@ -111,10 +113,11 @@ def fit(patterns: list[tuple[tuple[int, ...], int]], rounds: int = 60, prior: fl
     held to be better than chance: a vote for good never lowers the posterior, one against never raises it.
     """
     k = len(patterns[0][0]) if patterns else 0
-    good = [{1: 0.75, 0: 0.2, -1: 0.05} for _ in range(k)]
-    bad = [{1: 0.35, 0: 0.25, -1: 0.4} for _ in range(k)]
+    good, bad = [GOOD] * k, [BAD] * k
     for _ in range(rounds):
-        g, b, share, total = [{-1: 1.0, 0: 1.0, 1: 1.0} for _ in range(k)], [{-1: 1.0, 0: 1.0, 1: 1.0} for _ in range(k)], 1.0, 2.0
+        # What is assumed beforehand counts as PRIOR_ROWS rows, so that a handful of documents cannot turn the classes round.
+        g, b = ([{v: PRIOR_ROWS * x for v, x in (GOOD if c else BAD).items()} for _ in range(k)] for c in (1, 0))
+        share, total = PRIOR_ROWS * 0.8, PRIOR_ROWS
         for p, n in patterns:
             odds = math.log(prior / (1 - prior)) + sum(math.log(good[j][v] / bad[j][v]) for j, v in enumerate(p))
             q = 1 / (1 + math.exp(-max(-50.0, min(50.0, odds))))
