@@ -28,6 +28,8 @@ MARGIN = 0.11
 #: Ids up to which the candidates' list (8 bytes each) is broadcast to pick their texts; beyond, the join is shuffled.
 BROADCAST_IDS = 1_000_000
 WORD_CACHE = 400_000
+#: Rounds in which each document meets its best partner in another component only; then all that are left meet.
+BEST_ROUNDS = 3
 #: Members of a bucket that are compared at a time.
 CHUNK = 1024
 _U = np.uint64
@@ -182,35 +184,75 @@ def verified(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> Dat
     return dealt.mapInArrow(compared, "a long, b long")
 
 
-def cross_pairs(members: DataFrame, sigs: DataFrame, least: float, percent: int) -> DataFrame:
-    """members(key, doc_id, n, c): pairs (a, b) of one key and different c whose estimate reaches `least`.
+def cross_pairs(members: DataFrame, sigs: DataFrame, least: float, percent: int, best: bool) -> DataFrame:
+    """members(key, doc_id, n, c, tried): pairs (a, b) of one key and different c whose estimate reaches `least`, but those in `tried`.
 
-    Registers are compared in blocks of CHUNK members, so that a task holds two blocks of a key however large it is,
-    and only pairs that pass become rows.
+    With `best` a document of a block gives the partner of the highest estimate only, so that there are no more rows than members.
+    Registers are compared in blocks of CHUNK members: a task holds two blocks of a key however large it is, and the
+    small blocks of many keys at once.
     """
     place = F.row_number().over(W.partitionBy("key").orderBy("doc_id")) - 1
     count = F.count("*").over(W.partitionBy("key"))
     rows = members.select("*", F.floor(place / CHUNK).alias("own"), F.floor((count - 1) / CHUNK).alias("top"))
     rows = rows.withColumn("d", F.explode(F.sequence(F.lit(0).cast("long"), "top")))
-    rows = rows.select("key", F.least("own", "d").alias("lo"), F.greatest("own", "d").alias("hi"), "own", "doc_id", "n", "c")
+    rows = rows.select("key", F.least("own", "d").alias("lo"), F.greatest("own", "d").alias("hi"), "own", "doc_id", "n", "c", "tried")
     rows = rows.join(sigs.select("doc_id", "regs"), "doc_id")
+    dealt = rows.repartition(partitions(members.sparkSession), "key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "doc_id")
+    dealt = dealt.select("key", "lo", "hi", "own", "doc_id", "n", "c", "tried", "regs")
 
-    def compared(t: pa.Table) -> pa.Table:
-        ids, n, c, own = (t.column(x).to_numpy() for x in ("doc_id", "n", "c", "own"))
+    def compared(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        key, lo, hi, own, ids, n, c = (t.column(x).to_numpy() for x in ("key", "lo", "hi", "own", "doc_id", "n", "c"))
         regs = np.frombuffer(b"".join(t.column("regs").to_pylist()), np.uint16).reshape(len(ids), -1)
-        across, a, b = int(t.column("lo")[0].as_py() != t.column("hi")[0].as_py()), [], []
-        for i in range(len(ids)):
-            other = (c != c[i]) & (ids > ids[i]) & (100 * np.minimum(n, n[i]) >= percent * np.maximum(n, n[i]))
-            if across:
-                other &= own != own[i]
-            j = np.flatnonzero(other)
-            if len(j):
-                j = j[estimate((regs[j] == regs[i]).mean(axis=1), np.full(len(j), n[i]), n[j]) >= least]
-                a += [ids[i]] * len(j)
-                b += ids[j].tolist()
-        return pa.table([pa.array(a, pa.int64()), pa.array(b, pa.int64())], ["a", "b"])
+        tried = [frozenset(x) for x in t.column("tried").to_pylist()]
+        new = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])]))
+        end = np.repeat(np.append(new[1:], len(ids)), np.diff(np.append(new, len(ids))))
+        at, found = np.arange(len(ids)), []
+        for d in range(1, int((end - at).max()) if len(ids) else 0):
+            at = at[at + d < end[at]]
+            x, y = at, at + d
+            ok = (c[x] != c[y]) & ((lo[x] == hi[x]) | (own[x] != own[y])) & (100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y]))
+            x, y = x[ok], y[ok]
+            for k in range(0, len(x), 4096):
+                p, q = x[k : k + 4096], y[k : k + 4096]
+                e = estimate((regs[p] == regs[q]).mean(axis=1), n[p], n[q])
+                ok = np.flatnonzero(e >= least)
+                ok = np.asarray([i for i in ok if ids[q[i]] not in tried[p[i]] and ids[p[i]] not in tried[q[i]]], dtype=np.int64)
+                found.append((p[ok], q[ok], e[ok]))
+        if not found:
+            return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
+        x, y, e = (np.concatenate(z) for z in zip(*found, strict=True))
+        if best:
+            x, y, e = np.concatenate([x, y]), np.concatenate([y, x]), np.concatenate([e, e])
+            order = np.lexsort((y, -e, x))
+            order = order[np.concatenate([[True], x[order][1:] != x[order][:-1]])] if len(order) else order
+            x, y, e = x[order], y[order], e[order]
+        return ids[x], ids[y], e
+
+    def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Whole blocks only: the rows of a batch's last block wait for the next batch."""
+        wait: list[pa.RecordBatch] = []
+        last = None
+
+        def out(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(z) for z in compared(pa.Table.from_batches(parts))], ["a", "b", "j"])
 
-    return rows.groupBy("key", "lo", "hi").applyInArrow(compared, "a long, b long")
+        for t in batches:
+            for at in range(0, t.num_rows, 2 * CHUNK):
+                part = t.slice(at, 2 * CHUNK)
+                names = [part.column(k).to_numpy() for k in range(3)]
+                final = tuple(z[-1] for z in names)
+                same = np.flatnonzero((names[0] == final[0]) & (names[1] == final[1]) & (names[2] == final[2]))[0]
+                if last is not None and (same > 0 or final != last):
+                    yield out([*wait, part.slice(0, same)])
+                    wait = []
+                elif same > 0:
+                    yield out([part.slice(0, same)])
+                wait.append(part.slice(same))
+                last = final
+        if wait:
+            yield out(wait)
+
+    return dealt.mapInArrow(blocks, "a long, b long, j double")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -256,13 +298,27 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, rows: in
     star = written(estimated(star, reps, least).groupBy("b").agg(F.max_by("a", F.struct("j", -F.col("a"))).alias("a")).select("a", "b"), "star")
     first_edges = written(verified(star, docs, width, percent), "links")
     found = components(first_edges)
-    # Then members of a bucket that are still in different components meet each other.
-    named = buckets.join(found, "doc_id", "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
-    mixed = named.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo != hi").select("key")
-    open_ = written(named.join(mixed, "key", "left_semi"), "open")
-    cross = written(cross_pairs(open_, reps, least, percent).distinct().join(star, ["a", "b"], "left_anti"), "cross")
-    more = written(verified(cross, docs, width, percent), "links")
-    found = components(first_edges.select("a", "b").union(more.select("a", "b"))) if not more.isEmpty() else found
+    # Then members of a bucket that are still in different components meet: first each its best partner, as long as that
+    # links something, and in the end all that are left.
+    edges, tried, best = first_edges.select("a", "b"), star.select("a", "b"), True  # tried: b has chosen a
+    for after in range(BEST_ROUNDS + 1):
+        best = best and after < BEST_ROUNDS
+        named = buckets.join(found, "doc_id", "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
+        mixed = named.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo != hi").select("key")
+        partners = tried.groupBy(F.col("b").alias("doc_id")).agg(F.collect_set("a").alias("tried"))
+        open_ = named.join(mixed, "key", "left_semi").join(partners, "doc_id", "left").withColumn("tried", F.coalesce("tried", F.array().cast("array<bigint>")))
+        cross = cross_pairs(written(open_, "open"), reps, least, percent, best)
+        if best:
+            cross = written(cross.groupBy("a").agg(F.max_by("b", F.struct("j", -F.col("b"))).alias("b")), "best")
+            tried = tried.union(cross.select(F.col("b").alias("a"), F.col("a").alias("b")))
+        cross = written(cross.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "cross")
+        more = written(verified(cross, docs, width, percent), "links")
+        linked = not more.isEmpty()
+        edges = edges.union(more.select("a", "b"))
+        found = components(edges) if linked else found
+        if not best:
+            break
+        best = linked
     comp = classes.join(found.withColumnRenamed("doc_id", "rep"), "rep", "left").select("f1", "f2", F.coalesce("component", "rep").alias("component"))
     out = sigs.select("doc_id", "n", "f1", "f2").join(comp, ["f1", "f2"], "left")
     component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component"))
