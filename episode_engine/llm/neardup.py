@@ -29,9 +29,9 @@ MARGIN = 0.11
 BROADCAST_IDS = 1_000_000
 WORD_CACHE = 400_000
 #: Rounds in which each document meets its best partner in another component only; then all that are left meet.
-BEST_ROUNDS = 3
+BEST_ROUNDS = 1
 #: Members of a bucket that are compared at a time.
-CHUNK = 1024
+CHUNK = 2048
 _U = np.uint64
 
 
@@ -184,8 +184,11 @@ def verified(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> Dat
     return dealt.mapInArrow(compared, "a long, b long")
 
 
-def cross_pairs(members: DataFrame, sigs: DataFrame, least: float, percent: int, best: bool) -> DataFrame:
-    """members(key, doc_id, n, c, tried): pairs (a, b) of one key and different c whose estimate reaches `least`, but those in `tried`.
+def cross_pairs(members: DataFrame, sigs: DataFrame, least: float, percent: int, width: int, best: bool) -> DataFrame:
+    """members(key, band, doc_id, n, c, tried): pairs (a, b) of one key and different c whose estimate reaches `least`, but those in `tried`.
+
+    A pair comes from the first band on which its registers agree only. Estimates are never above the share of equal
+    registers, so that the correction is worked out for the pairs whose share reaches `least`.
 
     With `best` a document of a block gives the partner of the highest estimate only, so that there are no more rows than members.
     Registers are compared in blocks of CHUNK members: a task holds two blocks of a key however large it is, and the
@@ -195,13 +198,13 @@ def cross_pairs(members: DataFrame, sigs: DataFrame, least: float, percent: int,
     count = F.count("*").over(W.partitionBy("key"))
     rows = members.select("*", F.floor(place / CHUNK).alias("own"), F.floor((count - 1) / CHUNK).alias("top"))
     rows = rows.withColumn("d", F.explode(F.sequence(F.lit(0).cast("long"), "top")))
-    rows = rows.select("key", F.least("own", "d").alias("lo"), F.greatest("own", "d").alias("hi"), "own", "doc_id", "n", "c", "tried")
+    rows = rows.select("key", "band", F.least("own", "d").alias("lo"), F.greatest("own", "d").alias("hi"), "own", "doc_id", "n", "c", "tried")
     rows = rows.join(sigs.select("doc_id", "regs"), "doc_id")
     dealt = rows.repartition(partitions(members.sparkSession), "key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "doc_id")
-    dealt = dealt.select("key", "lo", "hi", "own", "doc_id", "n", "c", "tried", "regs")
+    dealt = dealt.select("key", "lo", "hi", "band", "own", "doc_id", "n", "c", "tried", "regs")
 
     def compared(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        key, lo, hi, own, ids, n, c = (t.column(x).to_numpy() for x in ("key", "lo", "hi", "own", "doc_id", "n", "c"))
+        key, lo, hi, band, own, ids, n, c = (t.column(x).to_numpy() for x in ("key", "lo", "hi", "band", "own", "doc_id", "n", "c"))
         regs = np.frombuffer(b"".join(t.column("regs").to_pylist()), np.uint16).reshape(len(ids), -1)
         tried = [frozenset(x) for x in t.column("tried").to_pylist()]
         new = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])]))
@@ -214,9 +217,12 @@ def cross_pairs(members: DataFrame, sigs: DataFrame, least: float, percent: int,
             x, y = x[ok], y[ok]
             for k in range(0, len(x), 4096):
                 p, q = x[k : k + 4096], y[k : k + 4096]
-                e = estimate((regs[p] == regs[q]).mean(axis=1), n[p], n[q])
-                ok = np.flatnonzero(e >= least)
-                ok = np.asarray([i for i in ok if ids[q[i]] not in tried[p[i]] and ids[p[i]] not in tried[q[i]]], dtype=np.int64)
+                equal = regs[p] == regs[q]
+                share = equal.mean(axis=1)
+                ok = np.flatnonzero(share >= least)
+                ok = ok[equal[ok].reshape(len(ok), -1, width).all(axis=2).argmax(axis=1) == band[p[ok]]]
+                p, q, e = p[ok], q[ok], estimate(share[ok], n[p[ok]], n[q[ok]])
+                ok = np.asarray([i for i in np.flatnonzero(e >= least) if ids[q[i]] not in tried[p[i]] and ids[p[i]] not in tried[q[i]]], dtype=np.int64)
                 found.append((p[ok], q[ok], e[ok]))
         if not found:
             return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
@@ -287,7 +293,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, rows: in
     classes = written(sigs.filter("n > 0").groupBy("f1", "f2").agg(F.min("doc_id").alias("rep")), "classes")
     reps = sigs.join(classes.select("f1", "f2", F.col("rep").alias("doc_id")), ["f1", "f2", "doc_id"], "left_semi").select("doc_id", "n", "keys", "regs").dropDuplicates(["doc_id"])
     reps = written(reps, "reps")
-    keyed = reps.select("doc_id", "n", F.explode("keys").alias("key"))
+    keyed = reps.select("doc_id", "n", F.posexplode("keys").alias("band", "key"))
     shared = keyed.groupBy("key").agg(F.min("doc_id").alias("first"), F.count("*").alias("_n")).filter("_n > 1").drop("_n")
     buckets = written(keyed.join(shared, "key"), "buckets")
     least = percent / 100 - MARGIN
@@ -303,11 +309,11 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, rows: in
     edges, tried, best = first_edges.select("a", "b"), star.select("a", "b"), True  # tried: b has chosen a
     for after in range(BEST_ROUNDS + 1):
         best = best and after < BEST_ROUNDS
-        named = buckets.join(found, "doc_id", "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
+        named = buckets.join(found, "doc_id", "left").select("key", "band", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
         mixed = named.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo != hi").select("key")
         partners = tried.groupBy(F.col("b").alias("doc_id")).agg(F.collect_set("a").alias("tried"))
         open_ = named.join(mixed, "key", "left_semi").join(partners, "doc_id", "left").withColumn("tried", F.coalesce("tried", F.array().cast("array<bigint>")))
-        cross = cross_pairs(written(open_, "open"), reps, least, percent, best)
+        cross = cross_pairs(written(open_, "open"), reps, least, percent, rows, best)
         if best:
             cross = written(cross.groupBy("a").agg(F.max_by("b", F.struct("j", -F.col("b"))).alias("b")), "best")
             tried = tried.union(cross.select(F.col("b").alias("a"), F.col("a").alias("b")))
