@@ -220,7 +220,7 @@ def cross_pairs(members: DataFrame, sigs: DataFrame, least: float, percent: int,
                 equal = regs[p] == regs[q]
                 share = equal.mean(axis=1)
                 ok = np.flatnonzero(share >= least)
-                ok = ok[equal[ok].reshape(len(ok), -1, width).all(axis=2).argmax(axis=1) == band[p[ok]]]
+                ok = ok[equal[ok].reshape(len(ok), equal.shape[1] // width, width).all(axis=2).argmax(axis=1) == band[p[ok]]]
                 p, q, e = p[ok], q[ok], estimate(share[ok], n[p[ok]], n[q[ok]])
                 ok = np.asarray([i for i in np.flatnonzero(e >= least) if ids[q[i]] not in tried[p[i]] and ids[p[i]] not in tried[q[i]]], dtype=np.int64)
                 found.append((p[ok], q[ok], e[ok]))
