@@ -14,9 +14,11 @@ from __future__ import annotations
 
 from collections import Counter
 from collections.abc import Callable, Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -25,8 +27,10 @@ from .common import crc_mod, py_crc_mod, written
 DEPTH = 5
 END = b"\n"
 STEP = 1 << 20
-#: Entries of the table that is sent to every worker (16 bytes each there). Beyond it, the deepest contexts are left out.
+#: Entries of a table that is sent to every worker (16 bytes each there). A larger one stays distributed, with the same scores.
 MAX_ENTRIES = 8_000_000
+#: Characters of the texts that ask a distributed table together.
+CHUNK = 8 << 20
 #: Most frequent words, whose counts are sent to every worker; other words meet their counts in a join.
 FREQUENT = 200_000
 _U = np.uint64
@@ -272,8 +276,8 @@ class Table:
         return out
 
 
-def learn(docs: DataFrame, depth: int = DEPTH, max_entries: int = MAX_ENTRIES) -> tuple[np.ndarray, np.ndarray, int]:
-    """The table of all texts of docs: keys, values, depth."""
+def learned_table(docs: DataFrame, depth: int = DEPTH) -> tuple[DataFrame, np.ndarray, np.ndarray]:
+    """The table of all texts of docs: (key, v) of depths 1 and more, and keys and values of depth 0."""
     grams = written(gram_counts(docs, depth), "grams")
     recent = F.shiftrightunsigned("key", 8 * depth)
     parted = grams.withColumn("recent", recent)
@@ -284,13 +288,6 @@ def learn(docs: DataFrame, depth: int = DEPTH, max_entries: int = MAX_ENTRIES) -
         own = float(kt(np.asarray([zeros]), np.asarray([ones]))[0])
         roots[bit, prefix] = (float(np.exp(np.log(0.5) + own - (np.logaddexp(own, below) - np.log(2)))), zeros, ones)
     made = written(parted.groupBy("recent").applyInArrow(tabled(depth, roots), "key long, v float"), "table")
-    kind = F.shiftrightunsigned("key", 56)
-    sizes = {r[0]: r[1] for r in made.groupBy(kind).count().collect()}
-    use = depth
-    while use > 1 and sum(n for k, n in sizes.items() if (k - 1 if k < 128 else k - 128) <= use) > max_entries:
-        use -= 1
-    got = made.filter(F.when(kind < 128, kind - 1).otherwise(kind - 128) <= use).toArrow()
-    keys, values = got.column("key").to_numpy().view(np.uint64), got.column("v").to_numpy()
     # Depth 0: each byte's probability without context, from the roots alone.
     seen = [b for b in range(256) if all((bit, b >> (8 - bit)) in roots and roots[bit, b >> (8 - bit)][1 + ((b >> (7 - bit)) & 1)] > 0 for bit in range(8))]
     q0 = np.zeros(len(seen))
@@ -298,7 +295,86 @@ def learn(docs: DataFrame, depth: int = DEPTH, max_entries: int = MAX_ENTRIES) -
         q0 += np.log([(roots[bit, b >> (8 - bit)][1 + ((b >> (7 - bit)) & 1)] + 0.5) / (sum(roots[bit, b >> (8 - bit)][1:]) + 1.0) for b in seen]) if seen else 0
     k0 = np.asarray([b | (1 << 56) for b in seen] + [128 << 56], np.uint64)
     v0 = np.append(q0, rest(np.asarray([np.exp(q0).sum()]), np.asarray([len(seen) / 256]))[0] if seen else 0.0)
-    return np.concatenate((keys, k0)), np.concatenate((values, v0.astype(np.float32))), use
+    return made, k0, v0.astype(np.float32)
+
+
+def _collected(made: DataFrame, k0: np.ndarray, v0: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    got = made.toArrow()
+    return np.concatenate((got.column("key").to_numpy().view(np.uint64), k0)), np.concatenate((got.column("v").to_numpy(), v0))
+
+
+def learn(docs: DataFrame, depth: int = DEPTH) -> tuple[np.ndarray, np.ndarray, int]:
+    """The table of all texts of docs on the driver: keys, values, depth."""
+    return *_collected(*learned_table(docs, depth)), depth
+
+
+def chunked(own: DataFrame) -> DataFrame:
+    """own(doc_id, text) and the chunk of about CHUNK characters that each row is in."""
+
+    def numbered(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        chunk, size = TaskContext.get().partitionId() << 32, 0
+        for b in batches:
+            of = []
+            for text in b.column(1):
+                if size >= CHUNK:
+                    chunk, size = chunk + 1, 0
+                of.append(chunk)
+                size += len(text.as_py() or "")
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(of, pa.int64())], ["doc_id", "text", "chunk"])
+
+    return own.mapInArrow(numbered, "doc_id long, text string, chunk long")
+
+
+def asked(chunks: DataFrame, depth: int) -> DataFrame:
+    """(chunk, key): the sequences that a chunk's texts hold, each at least once."""
+
+    def made(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, found, pad = None, [], END * depth
+
+        def out() -> pa.RecordBatch:
+            keys = np.unique(np.concatenate(found))
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), now, np.int64)), pa.array(keys.view(np.int64))], ["chunk", "key"])
+
+        for b in batches:
+            for text, chunk in zip(b.column(0), b.column(1).to_pylist(), strict=True):
+                if found and (chunk != now or len(found) >= 4096):
+                    whole = out()
+                    found = [] if chunk != now else [whole.column(1).to_numpy().view(np.uint64)]
+                    if chunk != now:
+                        yield whole
+                now = chunk
+                found += [np.unique(k) for k in _steps(pad + stream(text.as_py())[1], depth)]
+        if found:
+            yield out()
+
+    return chunks.select("text", "chunk").mapInArrow(made, "chunk long, key long")
+
+
+def answers(keys: DataFrame, made: DataFrame, k0: np.ndarray, v0: np.ndarray, depth: int) -> DataFrame:
+    """Each of keys(key), and the natural log of the probability of its last byte: what Table.log_p gives, by joins."""
+    zero = keys.sparkSession.createDataFrame(list(zip(k0.view(np.int64).tolist(), v0.tolist(), strict=True)), "key long, v float")
+    table, kind, key = made.unionByName(zero), F.shiftrightunsigned("key", 56), F.col("key")
+    done, left = [], keys.distinct().withColumn("acc", F.lit(0.0))
+    for d in range(depth, -1, -1):
+        context = F.shiftrightunsigned(key, 8 * (depth + 1 - d))
+        of = lambda tag, name: table.filter(kind == tag).select((key.bitwiseAND((1 << 56) - 1)).alias("_name"), F.col("v").alias(name))  # noqa: B023, E731
+        name = F.shiftleft(context, 8).bitwiseOR(key.bitwiseAND(255))
+        met = written(left.withColumn("_name", name).join(of(d + 1, "_v"), "_name", "left").drop("_name"), "met")
+        done.append(met.filter("_v is not null").select("key", (F.col("acc") + F.col("_v")).alias("log_p")))
+        left = met.filter("_v is null").withColumn("_name", context).join(of(128 + d, "_rest"), "_name", "left").select("key", (F.col("acc") + F.coalesce("_rest", F.lit(0.0))).alias("acc"))
+    done.append(left.select("key", (F.col("acc") - float(np.log(256))).alias("log_p")))
+    return reduce(DataFrame.unionByName, done)
+
+
+class Answers:
+    """What a chunk got for the sequences it asked for."""
+
+    def __init__(self, keys: np.ndarray, values: np.ndarray) -> None:
+        o = np.argsort(keys)
+        self.keys, self.values = keys[o], values[o]
+
+    def log_p(self, keys: np.ndarray) -> np.ndarray:
+        return self.values[np.searchsorted(self.keys, keys)]
 
 
 def word_counts(docs: DataFrame) -> DataFrame:
@@ -329,7 +405,8 @@ def score(docs: DataFrame, learned: int = 7, held: int = 2, depth: int = DEPTH,
     """docs(doc_id, text, ...) -> doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, n_scored_bytes, bits_per_byte.
 
     Learns from the rows whose crc32(doc_id as text) mod `learned` is not `held`. One row for each row; null and empty texts are
-    an end alone. Without training rows, words are all unknown and bytes equally likely.
+    an end alone. Without training rows, words are all unknown and bytes equally likely. A table of up to `max_entries` entries is
+    sent to every worker; beyond, chunks of texts ask for the sequences they hold, to the same scores.
     An empty table gives no rows; extra columns are ignored.
     """
     spark = docs.sparkSession
@@ -339,47 +416,69 @@ def score(docs: DataFrame, learned: int = 7, held: int = 2, depth: int = DEPTH,
     total, distinct = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     top = counts.orderBy(F.desc("n"), "word").limit(FREQUENT).toArrow()
     frequent = spark.sparkContext.broadcast(dict(zip(top.column("word").to_pylist(), top.column("n").to_pylist(), strict=True)))
-    model = spark.sparkContext.broadcast(learn(training, depth, max_entries))
+    made, k0, v0 = learned_table(training, depth)
     all_ = float(total + distinct + 1)
     names = ["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "n_scored_bytes", "rare"]
     rare_type = pa.list_(pa.struct([("word", pa.binary()), ("k", pa.int64())]))
-
-    def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keys, values, use = model.value
-        lookup, logs = Table(keys, values, use), {w: float(np.log10((n + 1) / all_)) for w, n in frequent.value.items()}
-        pad = END * use
-        for b in batches:
-            for at in range(0, b.num_rows, 200):
-                part, out, texts = b.slice(at, 200), [], []
-                for doc, text in zip(part.column(0).to_pylist(), part.column(1), strict=True):
-                    w, raw = stream(text.as_py())
-                    known, base, rare = 0, 0.0, []
-                    for x, k in Counter(w).items():
-                        v = logs.get(x)
-                        if v is None:
-                            rare.append({"word": x, "k": k})
-                        else:
-                            known += k
-                            base += k * v
-                    if (v := logs.get(b"")) is None:
-                        base -= float(np.log10(all_))
-                    else:
-                        known, base = known + 1, base + v
-                    texts.append(pad + raw)
-                    out.append([doc, py_crc_mod(doc, learned) == held, len(w) + 1, known, base, 0.0, len(raw), rare])
-                short = [i for i, t in enumerate(texts) if len(t) < STEP]
-                for group in [*_groups(short, texts), *[[i] for i, t in enumerate(texts) if len(t) >= STEP]]:
-                    logp = np.concatenate([lookup.log_p(k) for k in _steps(b"".join(texts[i] for i in group), use)])
-                    # Byte i of the joined text has its log at i - use; the padding of every text but the first is left out.
-                    end = 0
-                    for i in group:
-                        begin, end = end, end + len(texts[i])
-                        out[i][5] = float(logp[begin : end - use].sum()) / np.log(10)
-                types = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64(), rare_type)
-                yield pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(zip(*out, strict=True), types, strict=True)], names)
+    types = (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.int64(), rare_type)
+
+    def scored(part: pa.RecordBatch | pa.Table, lookup: Table | Answers, logs: dict[bytes, float]) -> pa.RecordBatch:
+        out, texts, pad = [], [], END * depth
+        for doc, text in zip(part.column("doc_id").to_pylist(), part.column("text"), strict=True):
+            w, raw = stream(text.as_py())
+            known, base, rare = 0, 0.0, []
+            for x, k in Counter(w).items():
+                v = logs.get(x)
+                if v is None:
+                    rare.append({"word": x, "k": k})
+                else:
+                    known += k
+                    base += k * v
+            if (v := logs.get(b"")) is None:
+                base -= float(np.log10(all_))
+            else:
+                known, base = known + 1, base + v
+            texts.append(pad + raw)
+            out.append([doc, py_crc_mod(doc, learned) == held, len(w) + 1, known, base, 0.0, len(raw), rare])
+        short = [i for i, t in enumerate(texts) if len(t) < STEP]
+        # The places where two joined texts meet ask for sequences that no text holds, so that Answers takes one text at a time.
+        alone = isinstance(lookup, Answers)
+        for group in [*([[i] for i in short] if alone else _groups(short, texts)), *[[i] for i, t in enumerate(texts) if len(t) >= STEP]]:
+            logp = np.concatenate([lookup.log_p(k) for k in _steps(b"".join(texts[i] for i in group), depth)])
+            # Byte i of the joined text has its log at i - depth; the padding of every text but the first is left out.
+            end = 0
+            for i in group:
+                begin, end = end, end + len(texts[i])
+                out[i][5] = float(logp[begin : end - depth].sum()) / np.log(10)
+        return pa.RecordBatch.from_arrays([pa.array(list(c), t) for c, t in zip(zip(*out, strict=True), types, strict=True)], names)
+
+    def word_logs() -> dict[bytes, float]:
+        return {w: float(np.log10((n + 1) / all_)) for w, n in frequent.value.items()}
 
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double, n_scored_bytes long, rare array<struct<word binary, k long>>"
-    made = written(own.mapInArrow(scored, schema).withColumn("_row", F.monotonically_increasing_id()), "scored")
+    if made.count() <= max_entries:
+        model = spark.sparkContext.broadcast(_collected(made, k0, v0))
+
+        def by_table(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            lookup, logs = Table(*model.value, depth), word_logs()
+            for b in batches:
+                for at in range(0, b.num_rows, 200):
+                    yield scored(b.slice(at, 200), lookup, logs)
+
+        found = own.mapInArrow(by_table, schema)
+    else:
+        chunks = written(chunked(own), "chunks")
+        wanted = written(asked(chunks, depth), "asked")
+        got = wanted.join(answers(wanted.select("key"), made, k0, v0, depth), "key")
+
+        def by_chunk(rows: pa.Table, given: pa.Table) -> pa.Table:
+            if not rows.num_rows:
+                return pa.table([pa.array([], t) for t in types], names)
+            lookup = Answers(given.column("key").to_numpy().view(np.uint64), given.column("log_p").to_numpy())
+            return pa.Table.from_batches([scored(rows, lookup, word_logs())])
+
+        found = chunks.groupBy("chunk").cogroup(got.groupBy("chunk")).applyInArrow(by_chunk, schema)
+    made = written(found.withColumn("_row", F.monotonically_increasing_id()), "scored")
     rare = made.select("_row", F.inline("rare")).join(counts, "word", "left")
     c = F.coalesce("n", F.lit(0))
     more = rare.groupBy("_row").agg(F.sum(F.when(c > 0, F.col("k")).otherwise(0)).alias("_known"), F.sum(F.col("k") * F.log10((c + 1) / F.lit(all_))).alias("_base"))

@@ -68,6 +68,14 @@ def test_weights_equal_the_recursion(spark):
         assert abs(value - math.log((estimate(*own) + below) / 2)) < 1e-6
 
 
+def test_distributed_table_gives_the_same(spark, monkeypatch):
+    monkeypatch.setattr(ctw, "CHUNK", 500)
+    df = spark.createDataFrame(rows_made(), "doc_id long, text string").repartition(3)
+    rounded = lambda rows: sorted((r.doc_id, r.held_out, r.n_tokens, r.n_known, round(r.base_score, 6), round(r.score, 3), r.n_scored_bytes) for r in rows)
+    assert rounded(ctw.score(df, depth=3, max_entries=0).collect()) == rounded(ctw.score(df, depth=3).collect())
+    assert ctw.score(df.limit(0), depth=3, max_entries=-1).count() == 0
+
+
 def test_empty_and_untrained(spark):
     assert ctw.score(spark.createDataFrame([], "doc_id long, text string")).count() == 0
     alone = next(i for i in range(100) if zlib.crc32(str(i).encode()) % 7 == 2)
