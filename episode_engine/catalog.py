@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 from itertools import permutations
 
 from pyspark.sql import DataFrame, SparkSession
@@ -13,6 +14,7 @@ from .functions.model import Episode, episode_nodes, expand_roles, gap_ok
 from .operators import compaction, counting, measures, mining, scheduling, serial, stitching, tracking
 from .plans.planner import choose_compaction, choose_strategy
 from .sources import streams as S
+from .streaming import online
 
 CYCLE = ["view", "click", "purchase", "error", "signup"]
 TYPES = sorted(CYCLE)
@@ -25,6 +27,7 @@ NEURONS = "(SELECT DISTINCT 'all' AS k, 'n' || lpad(CAST(user_id % 64 AS VARCHAR
 FLAGS = "(SELECT DISTINCT 'all' AS k, l_returnflag AS ty, epoch_us(l_shipdate) AS t FROM lineitem)"
 ORDERS = "(SELECT DISTINCT CAST(o_custkey AS VARCHAR) AS k, o_orderstatus AS ty, epoch_us(o_orderdate) AS t FROM orders)"
 ROLES = "(SELECT DISTINCT CAST(conv_id AS VARCHAR) AS k, role AS ty, turn AS t FROM conversations)"
+BANDS = "(SELECT DISTINCT 'all' AS k, event_type || '_' || coalesce(CAST(props->>'k' AS INT), 0) % 4 AS ty, epoch_us(ts) AS t FROM events)"
 DAY = S.DAY
 
 
@@ -359,6 +362,19 @@ WIDTHS = (1, 2, 4, 8, 16, 32, 64)
 counter("w5_width", wide([(f"{h} AS width, paths", f"SELECT paths, n FROM ({sql_count(MAIN[0], MAIN[1], [u(0, h)] * 2)}) c JOIN ({sql_paths(MAIN[0], MAIN[1], [u(0, h)] * 2)}) p USING (episode_id)") for h in WIDTHS]),
         lambda ev, ep, unit: counting.count_nonoverlapping(ev, ep, tracking="union").join(measures.count_overlapped(ev, ep), "episode_id").select(F.col("episode_id").cast("int").alias("width"), "paths", "n"),
         lambda unit: [Episode.of(*CYCLE[:3], gaps=[(0, h * unit)] * 2, episode_id=str(h)) for h in WIDTHS])
+RARE = {"type": ("view>click>purchase", CYCLE[:3], EVENTS), "band": ("view_0>click_0>purchase_0", ["view_0", "click_0", "purchase_0"], BANDS), "neuron": ("n00>n01>n02", ["n00", "n01", "n02"], NEURONS)}
+add("w5_rarity", union([f"SELECT '{k}' AS symbols, n, paths FROM ({sql_count(name, types, [u(0, 64)] * 2, source)}) JOIN ({sql_paths(name, types, [u(0, 64)] * 2, source)}) USING (episode_id)" for k, (name, types, source) in RARE.items()]))(
+    lambda spark, d: reduce(DataFrame.unionByName, [
+        counting.count_nonoverlapping(ev, ep).join(measures.count_overlapped(ev, ep), "episode_id", "left").select(F.lit(k).alias("symbols"), "n", F.coalesce("paths", F.lit(0)).alias("paths"))
+        for k, source in (("type", S.events_by_type), ("band", S.events_by_type_bucket), ("neuron", S.events_by_neuron))
+        for ev, ep in [(source(spark, d), [gapped(RARE[k][1], 0, 64, S.unit(spark, d))])]
+    ])
+)
+HALF = prefix(EVENTS, 1, 2)
+PROFILE = f"SELECT CAST(sum(matches) AS BIGINT) AS matches, CAST(sum(seeds + matches) AS BIGINT) AS tests FROM ({LEVEL_SQL.replace(EVENTS, HALF)})"
+add("w2_profile", f"SELECT w AS way, CASE WHEN w = 'count_scan_write' THEN 2 ELSE 1 END * tests AS tests, CASE WHEN w = 'unordered' THEN 3 ELSE 6 END AS steps, groups, divergent FROM ({PROFILE}), ({DIVERGE_SQL.replace(EVENTS, HALF)}), (VALUES ('unordered'), ('padded'), ('count_scan_write')) v(w)")(
+    lambda spark, d: measures.profile(S.ladder_prefix(S.events_by_type(spark, d), (1, 2)), one(S.unit(spark, d))[0])
+)
 NEURON_EP = [[f"n{a + i:02d}" for i in range(3)] for a in range(0, 64, 8)]
 add("w7_neurons", union([f"SELECT c.episode_id, stream_key, n, paths FROM ({sql_count('>'.join(p), p, [('0', str(DAY // 2))] * 2, NEURONS)}) c JOIN ({sql_paths('>'.join(p), p, [('0', str(DAY // 2))] * 2, NEURONS)}) q USING (episode_id)" for p in NEURON_EP]))(
     lambda spark, d: (lambda ev, ep: counting.count_nonoverlapping(ev, ep).join(measures.count_overlapped(ev, ep), "episode_id", "left").select("episode_id", "stream_key", "n", F.coalesce("paths", F.lit(0)).alias("paths")))(
@@ -421,3 +437,37 @@ def _(spark, d):
 def _(spark, d):
     unit = S.unit(spark, d)
     return tracking.track_forward_all(S.events_by_type(spark, d), [gapped(CYCLE[:2], 5, 10, unit)]).select("t_start", "t_end")
+
+
+# Streams that do not end
+def streamed(name: str, sql: str, mode: str, f: Callable[[DataFrame, int], DataFrame], last: Callable[[DataFrame], DataFrame] = lambda df: df.drop("batch")) -> None:
+    add(name, sql)(lambda spark, d: last(online.run_available(f(online.events_stream(spark, d), S.unit(spark, d)), mode)))
+
+
+def newest(df: DataFrame) -> DataFrame:
+    """Counts only grow, so that the largest is the last."""
+    return df.groupBy("episode_id", "stream_key").agg(F.max("n").alias("n"))
+
+
+def complete(df: DataFrame) -> DataFrame:
+    """The rows of the last batch in complete mode."""
+    return df.join(df.agg(F.max("batch").alias("batch")), "batch").drop("batch")
+
+
+BY_DAY = f"(SELECT k || '@' || t // {DAY} AS k, ty, t FROM {EVENTS})"
+streamed("stream_online_count", FOUR_SQL, "update", lambda st, unit: online.online_count(st, mixed(unit), "1 day"), newest)
+streamed("stream_window_episodes", f"SELECT episode_id, stream_key, n FROM ({sql_count(*MAIN, BY_DAY)}) JOIN (SELECT DISTINCT k FROM {BY_DAY} WHERE ty IN ('view', 'click', 'purchase')) ON k = stream_key", "update",
+         lambda st, unit: online.online_count(online.tumbling_keys(st, DAY), one(unit), "1 day"), newest)
+streamed("stream_tumbling", f"SELECT event_type, epoch_us(ts) // {DAY} * {DAY} AS start, count(*) AS n FROM events GROUP BY ALL", "complete", lambda st, unit: online.type_counts(st, "1 day", "1 day"), complete)
+streamed("stream_sliding", f"SELECT event_type, epoch_us(ts) // {DAY // 2} * {DAY // 2} - i * {DAY // 2} AS start, count(*) AS n FROM events, (VALUES (0), (1)) v(i) GROUP BY ALL", "complete",
+         lambda st, unit: online.type_counts(st, "1 day", "1 day", "12 hours"), complete)
+streamed("stream_sessions", """SELECT event_type, min(t) AS start, count(*) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY event_type ORDER BY t) AS s FROM
+ (SELECT event_type, epoch_us(ts) AS t, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY event_type ORDER BY ts) < 3600000000 THEN 0 ELSE 1 END AS new FROM events)) GROUP BY event_type, s""", "complete",
+         lambda st, unit: online.session_counts(st, "1 day", "1 hour"), complete)
+streamed("stream_dedup", "SELECT DISTINCT event_id FROM events", "append", lambda st, unit: online.first_seen(st.select("event_id", "event_time").unionByName(st.select("event_id", "event_time")), "40 days"), lambda df: df.select("event_id"))
+
+
+@add("stream_interval_join", f"SELECT a.t AS t_start, b.t AS t_end, count(*) AS n FROM (SELECT epoch_us(ts) AS t FROM events WHERE event_type = 'view') a JOIN (SELECT epoch_us(ts) AS t FROM events WHERE event_type = 'click') b ON b.t > a.t + 5 * {U} AND b.t <= a.t + 10 * {U} GROUP BY ALL")
+def _(spark, d):
+    unit, st = S.unit(spark, d), lambda: online.events_stream(spark, d)
+    return online.run_available(online.interval_join(st(), st(), "view", "click", 5 * unit, 10 * unit, "1 day"), "append").groupBy("t_start", "t_end").agg(F.count("*").alias("n"))

@@ -57,3 +57,11 @@ def launches(nodes: int) -> list[tuple[str, int]]:
     """Global steps of each way: tracking rounds, three calls a round for count-scan-write and for padded slots."""
     rounds = nodes - 1
     return [("unordered", rounds + 1), ("padded", 3 * rounds), ("count_scan_write", 3 * rounds)]
+
+
+def profile(ev: DataFrame, episode: Episode) -> DataFrame:
+    """Logical stand-ins for a hardware profile, for each way of compaction: tests of the gap, global steps, groups and divergent groups of seeds."""
+    ways = ev.sparkSession.createDataFrame([(w, c, 2 if w == "count_scan_write" else 1) for w, c in launches(len(episode))], "way string, steps int, searches int")
+    tests = level_sizes(ev, episode).agg(F.sum(F.expr("seeds + matches")).alias("tests"))
+    one = tests.crossJoin(divergence(ev, episode))  # single rows
+    return ways.crossJoin(one).select("way", (F.col("searches") * F.col("tests")).alias("tests"), "steps", "groups", "divergent")

@@ -5,15 +5,20 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
-    """df as Parquet in the shared folder (spark.checkpoint.dir, or a temporary one where none is set), read again."""
-    spark = df.sparkSession
+def shared_place(spark: SparkSession) -> str:
+    """spark.checkpoint.dir, or a temporary folder where none is set."""
     place = spark.conf.get("spark.checkpoint.dir", None) or getattr(spark, "_episode_dir", None)
     if not place:
         place = spark._episode_dir = tempfile.mkdtemp(prefix="episodes-")
-    path = f"{place.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    return place.rstrip("/")
+
+
+def written(df: DataFrame, name: str) -> DataFrame:
+    """df as Parquet in the shared folder, read again."""
+    spark = df.sparkSession
+    path = f"{shared_place(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
