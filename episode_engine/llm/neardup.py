@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import discard, partitions, written
+from .common import discard, let_go, partitions, written
 
 ROWS, BANDS = 6, 50
 MANTISSA = 10
@@ -109,6 +109,7 @@ def signatures(docs: DataFrame, width: int, rows: int, bands: int) -> DataFrame:
     names = ["doc_id", "n", "f1", "f2", "keys", "regs"]
 
     def made(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         hashes, (a, c) = WordHashes(), _permutations(rows * bands)
         for b in batches:
             for at in range(0, b.num_rows, 500):
@@ -155,6 +156,7 @@ def verified(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> Dat
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(ids, "doc_id", "left_semi")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         hashes = WordHashes()
         for b in batches:
             for at in range(0, b.num_rows, 500):

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import kept, written
 
 #: Entries of a worker's cache of tokenised chunks; when it is full it is emptied. It changes no result.
 CACHE = 800_000
@@ -68,14 +68,9 @@ class ChunkTokenizer:
             self.cache[c] = np.asarray(e.ids, dtype="<u4").tobytes()
 
 
-_kept: dict[str, ChunkTokenizer] = {}
-
-
 def tokenizer(path: str) -> ChunkTokenizer:
-    """A worker keeps its tokenizer and cache from task to task."""
-    if path not in _kept:
-        _kept[path] = ChunkTokenizer(path)
-    return _kept[path]
+    """A worker keeps its tokenizer and cache from task to task, until another operator needs the memory."""
+    return kept(f"tokenizer {path}", lambda: ChunkTokenizer(path))
 
 
 def cut(docs: DataFrame, tokenizer_path: str, capacity: int = 2048, end_id: int = 0) -> DataFrame:

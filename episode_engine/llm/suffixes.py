@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .anchors import anchor_runs
-from .common import discard, partitions, written
+from .common import discard, let_go, partitions, written
 
 GRAM = 16
 BLOCK_BYTES = 4_000_000
@@ -70,6 +70,7 @@ def blocks(docs: DataFrame, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """Documents, several to a row: ids, sizes in bytes, and their UTF-8 bytes compressed together. None is cut."""
 
     def made(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         number, ids, texts, size = TaskContext.get().partitionId() << 32, [], [], 0
 
         def row() -> pa.RecordBatch:
@@ -106,6 +107,7 @@ def run_records(length: int, parts: int) -> Callable:
     """Of each block: for each part of the anchors' hashes, the runs of windows whose anchor falls there."""
 
     def made(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         for b in batches:
             for block, ids, sizes, data in _rows(b):
                 doc_ids, starts, raw = unpack(ids, sizes, data)
@@ -143,6 +145,7 @@ def compare_runs(length: int) -> Callable:
     """Of one part: kind 0, runs whose bytes all go; kind 1, runs that are to be compared by window."""
 
     def made(table: pa.Table) -> pa.Table:
+        let_go()
         cols, block_of = [], []
         names = table.column("block").to_pylist()
         for i, blob in enumerate(table.column("blob")):
@@ -264,6 +267,7 @@ def sort_block(length: int) -> Callable:
     """Of a block and what is asked of it: the suffixes at the anchors, sorted and front-coded, with what stands before them."""
 
     def made(own: pa.Table, asked: pa.Table) -> pa.Table:
+        let_go()
         schema = pa.schema([("block", pa.int64()), ("blob", pa.binary())])
         if not own.num_rows or not asked.num_rows:
             return schema.empty_table()
@@ -289,6 +293,7 @@ def split_runs(borders: list[bytes]) -> Callable:
     """Sorted runs, cut at the borders; an anchor's suffixes stay together."""
 
     def made(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         for b in batches:
             for block, blob in _rows(b):
                 prefix, sizes, rest, before, left, doc, first, count = expand(blob, *RUN)
@@ -309,6 +314,7 @@ def merge_part(length: int) -> Callable:
     """Of one range of suffixes: for each run of windows, as bits, those that also start in a smaller document (kind 2)."""
 
     def made(table: pa.Table) -> pa.Table:
+        let_go()
         table = table.sort_by("block")
         names, runs, cols = table.column("block").to_pylist(), [], []
         for blob in table.column("blob"):
@@ -353,6 +359,7 @@ def cut_block(length: int, with_text: bool) -> Callable:
     schema = pa.schema(fields + [("kept_text", pa.string())] * with_text)
 
     def made(own: pa.Table, verdicts: pa.Table) -> pa.Table:
+        let_go()
         if not own.num_rows:
             return schema.empty_table()
         _, ids, sizes, data = next(_rows(own))
