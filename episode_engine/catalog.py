@@ -351,6 +351,10 @@ add("w1_thirty_episodes", THIRTY_SQL)(lambda spark, d: serial.count_episode_para
 add("w1_ladder", wide([(f"{a} AS num, {b} AS den, episode_id", union([sql_count(">".join(p), p, [u(5, 10)] * 2, prefix(EVENTS, a, b)) for p in THIRTY[:5]])) for a, b in S.LADDER]))(
     lambda spark, d: over_ladder(spark, d, lambda ev, unit=S.unit(spark, d): counting.count_nonoverlapping(ev, [gapped(p, 5, 10, unit) for p in THIRTY[:5]]).drop("stream_key"))
 )
+# The whole of W1; w1_ladder and its SQL have the first five episodes of each step.
+add("w1_ladder_thirty", wide([(f"{a} AS num, {b} AS den, episode_id", union([sql_count(">".join(p), p, [u(5, 10)] * 2, prefix(EVENTS, a, b)) for p in THIRTY])) for a, b in S.LADDER]))(
+    lambda spark, d: over_ladder(spark, d, lambda ev, unit=S.unit(spark, d): counting.count_nonoverlapping(ev, [gapped(p, 5, 10, unit) for p in THIRTY]).drop("stream_key"))
+)
 add("w3_ladder", wide([(f"{a} AS num, {b} AS den, episode_id", sql_count(*MAIN, prefix(EVENTS, a, b))) for a, b in S.LADDER]))(
     lambda spark, d: over_ladder(spark, d, lambda ev, unit=S.unit(spark, d): counting.count_nonoverlapping(ev, one(unit)).drop("stream_key"))
 )
