@@ -57,26 +57,41 @@ def item_shingles(items: DataFrame, width: int, share: float) -> DataFrame:
     return counted.select("item_id", "h", "n_words", "n_shingles", (F.col("_rank") <= allowed).alias("in_sketch"))
 
 
+def _doc_shingles(docs: DataFrame, widths: list[int]) -> DataFrame:
+    made = docs.select("doc_id", tokens(F.col("text")).alias("w"))
+    return made.select("doc_id", F.explode(let(F.col("w"), lambda w: F.concat(*[_shingles(w, width=k) for k in widths]))).alias("h"))
+
+
+def candidates(docs: DataFrame, sketches: DataFrame, widths: list[int]) -> DataFrame:
+    """Pairs (doc_id, item_id) of a document that holds a value at least of an item's sketch(h, item_id)."""
+    return _doc_shingles(docs, widths).join(sketches, "h").select("doc_id", "item_id").distinct()
+
+
 def contained_items(docs: DataFrame, items: DataFrame, width: int = 5, share: float = 0.8, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
     """Pairs (doc_id, item_id, n_shingles, n_found, containment) with containment >= share.
 
     docs(doc_id, text, ...), items(item_id, text, ...). Texts are taken whole. Null and empty texts hold nothing and
-    are held by nothing; repeated rows of either table count once; rows of one id unite their shingles. Empty tables
+    are held by nothing; repeated rows of either table count once; rows of one id (null too) unite their shingles. Empty tables
     give no pairs. Extra columns are ignored.
     """
     known = written(item_shingles(items, width, share), "items")
     widths = sorted(r[0] for r in known.select("n_words").distinct().collect())  # `width` values at most
     if not widths:
         widths = [width]
+    sketches = known.filter("in_sketch").select("h", "item_id")
     if known.count() <= broadcast_rows:
-        known = F.broadcast(known)
-    made = docs.select("doc_id", tokens(F.col("text")).alias("w"))
-    rows = made.select("doc_id", F.explode(let(F.col("w"), lambda w: F.concat(*[_shingles(w, width=k) for k in widths]))).alias("h"))
-    hits = rows.join(known, "h").groupBy("doc_id", "item_id", "n_shingles").agg(
-        F.max("in_sketch").alias("candidate"), F.count_distinct("h").alias("n_found")
-    )
+        known, sketches = F.broadcast(known), F.broadcast(sketches)
+    found = written(candidates(docs, sketches, widths), "candidates")
+    # Only documents with a candidate are cut again, and only their candidates' shingles are looked up.
+    pairs = found.select(F.col("doc_id").alias("_doc"), F.col("item_id").alias("_item"))
+    same_doc, same_item = F.col("doc_id").eqNullSafe(F.col("_doc")), F.col("item_id").eqNullSafe(F.col("_item"))
+    rows = _doc_shingles(docs.select("doc_id", "text").join(pairs.select("_doc").distinct(), same_doc, "left_semi"), widths)
+    hits = (
+        rows.join(known, "h").join(pairs, same_doc & same_item, "left_semi")
+        .groupBy("doc_id", "item_id", "n_shingles").agg(F.count_distinct("h").alias("n_found"))
+    )
     needed = F.ceil(F.col("n_shingles") * F.lit(share) - 1e-9)
-    return hits.filter(F.col("candidate") & (F.col("n_found") >= needed)).select(
+    return hits.filter(F.col("n_found") >= needed).select(
         "doc_id", "item_id", "n_shingles", "n_found", (F.col("n_found") / F.col("n_shingles")).alias("containment")
     )
 

@@ -83,3 +83,19 @@ def test_quality(spark):
         assert r.base_failed == (n[0] < 50 or 100 * n[4] > 50 * n[0]) and not (r.base_failed and r.kept)
     assert {r.kept for r in got if r.doc_id in (7, 8)} == {True}
     assert quality.quality(docs_of(spark, [])).count() == 0
+
+
+def test_only_candidates_are_counted(spark):
+    words = [f"w{i}" for i in range(60)]
+    items = spark.createDataFrame([(1, " ".join(words[:30])), (2, " ".join(words[30:]))], "item_id long, text string")
+    known = decontam.item_shingles(items, 5, 0.8).cache()
+    shared = {(r.item_id, r.h): r.in_sketch for r in known.collect()}
+    rows = [(i, " ".join(words[i : i + 5])) for i in range(56)] + [(100, " ".join(words)), (101, None), (100, "w1")]
+    found = decontam.candidates(docs_of(spark, rows), known.filter("in_sketch").select("h", "item_id"), [5])
+    got = sorted(tuple(r) for r in found.collect())
+    # A document of one shingle meets an item only where that shingle is in the sketch: 7 and 7 of 26 and 26.
+    assert len(got) == sum(shared.values()) + 2 == 16 and (100, 1) in got and (100, 2) in got
+    done = decontam.contained_items(docs_of(spark, rows), items).collect()
+    assert sorted((r.doc_id, r.item_id, r.n_found) for r in done) == [(100, 1, 26), (100, 2, 26)]
+    nulls = decontam.contained_items(docs_of(spark, [(None, " ".join(words))]), items.selectExpr("nullif(item_id, 2) as item_id", "text")).collect()
+    assert sorted((str(r.doc_id), str(r.item_id), r.n_found) for r in nulls) == [("None", "1", 26), ("None", "None", 26)]
