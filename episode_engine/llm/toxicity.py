@@ -26,7 +26,7 @@ INSULTS = (
 #: Words of address.
 ADDRESS = "you your you're u ur tu toi vous du dich dein ihr tú eres"
 SHORTEST, LONGEST = 4, 8
-#: Labelled rows that stems and the classifier are fitted on, taken in the order of a hash; and as many others for the classifier.
+#: Labelled rows that stems and the classifier are fitted on, taken in the order of a hash; of rows without a label it learns from all.
 SAMPLE = 20_000
 STEMS = 60
 #: Standard errors that are taken off a stem's log ratio.
@@ -69,9 +69,9 @@ def induce(sample: DataFrame, most: int = STEMS) -> list[tuple[str, int]]:
     spec = "stem string, once long, twice long"
     sizes = {r[0]: r[1] for r in sample.groupBy("toxic").count().collect()}
     p, n = sizes.get(1, 0), sizes.get(0, 0)
-    least = max(4, 3 * p // 100)
+    least = max(4, 3 * p // 100)  # there are at most 42 times as many such stems as a toxic text has on average, however many texts there are
     counted = lambda label, wanted: sample.filter(F.col("toxic") == label).select("text").mapInArrow(_count_stems(wanted), spec).groupBy("stem").agg(F.sum("once").alias("once"), F.sum("twice").alias("twice"))
-    often = counted(1, None).filter(F.col("once") >= least).orderBy(F.desc("once"), "stem").limit(20_000).collect()
+    often = counted(1, None).filter(F.col("once") >= least).orderBy(F.desc("once"), "stem").collect()
     if not often:
         return []
     rare = {r[0]: r[1:] for r in counted(0, {r[0] for r in often}).collect()}
@@ -175,6 +175,45 @@ def label_model(patterns: list[tuple[tuple[int, ...], int | None, int]], rounds:
     return q, known
 
 
+def _sums(x: np.ndarray, q: np.ndarray, w: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """What a Newton step needs of rows: the gradient and the curvature of their log likelihood at w."""
+    p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
+    return x.T @ (rows * (q - p)), (x * (rows * p * (1 - p))[:, None]).T @ x
+
+
+def fit_all(learned: DataFrame, posterior: dict[tuple[tuple[int, ...], int | None], float], ridge: float = 1.0, steps: int = 25) -> np.ndarray:
+    """fit_linear over every row of learned(x, votes, toxic), a pass for each Newton step.
+
+    A task sends one sum a step, whose size is that of the features; rows never come to the driver.
+    """
+    first = learned.select(F.size("x")).first()
+    w = np.zeros(first[0] + 1)
+    keep = np.full(len(w), ridge)
+    keep[-1] = 1e-3
+
+    def summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = [np.zeros(len(w)), np.zeros((len(w), len(w)))]
+        for b in batches:
+            if b.num_rows:
+                values = b.column("x").flatten().to_numpy(zero_copy_only=False).reshape(b.num_rows, -1).astype(float)
+                y = np.asarray([posterior[tuple(v), t] for v, t in zip(b.column("votes").to_pylist(), b.column("toxic").to_pylist(), strict=True)])
+                for k, part in enumerate(_sums(np.hstack([values, np.ones((b.num_rows, 1))]), y, w, np.ones(b.num_rows))):
+                    total[k] += part
+        yield pa.RecordBatch.from_arrays([pa.array([total[0].tolist()]), pa.array([total[1].ravel().tolist()])], ["gradient", "curvature"])
+
+    for _ in range(steps):
+        gradient, curvature = np.zeros(len(w)), np.zeros((len(w), len(w)))
+        sums = learned.mapInArrow(summed, "gradient array<double>, curvature array<double>").toArrow()
+        for part in sums.to_batches():
+            gradient += part.column(0).flatten().to_numpy().reshape(-1, len(w)).sum(axis=0)
+            curvature += part.column(1).flatten().to_numpy().reshape(-1, len(w), len(w)).sum(axis=0)
+        step = np.linalg.solve(curvature + np.diag(keep + 1e-6), gradient - keep * w)
+        w = w + np.clip(step, -4, 4)
+        if np.abs(step).max() < 1e-4:
+            break
+    return w
+
+
 def fit_linear(x: np.ndarray, q: np.ndarray, ridge: float = 1.0, steps: int = 25, rows: np.ndarray | None = None) -> np.ndarray:
     """Logistic regression on soft labels by Newton's method; the last weight is the constant."""
     x = np.hstack([x, np.ones((len(x), 1))])
@@ -182,8 +221,8 @@ def fit_linear(x: np.ndarray, q: np.ndarray, ridge: float = 1.0, steps: int = 25
     keep, rows = np.full(len(w), ridge), np.ones(len(x)) if rows is None else rows
     keep[-1] = 1e-3
     for _ in range(steps):
-        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
-        step = np.linalg.solve((x * (rows * p * (1 - p))[:, None]).T @ x + np.diag(keep + 1e-6), x.T @ (rows * (q - p)) - keep * w)
+        gradient, curvature = _sums(x, q, w, rows)
+        step = np.linalg.solve(curvature + np.diag(keep + 1e-6), gradient - keep * w)
         w += np.clip(step, -4, 4)
         if np.abs(step).max() < 1e-4:
             break
@@ -194,7 +233,7 @@ def toxicity(docs: DataFrame, labels: DataFrame, mod: int = 3, held: int = 1, th
     """docs(doc_id, text, ...), labels(doc_id, toxic, ...) -> doc_id, held_out, score, predicted: a row for each row.
 
     Whole texts are scored, and nothing else of a row. It learns from rows whose crc32(doc_id as text) mod `mod` is not
-    `held` only: labels of at most `sample` of them, in the order of a hash. Null texts are empty; labels that are neither
+    `held` only: labels of at most `sample` of them, in the order of a hash, and all others without a label. Null texts are empty; labels that are neither
     0 nor 1 are left out, and of several labels of one document the highest holds. Without labels, the label model stands
     on its voters alone. An empty table gives no rows; extra columns are ignored.
     """
@@ -223,11 +262,7 @@ def toxicity(docs: DataFrame, labels: DataFrame, mod: int = 3, held: int = 1, th
     else:
         q, _ = label_model([(tuple(r[0]), r[1], r[2]) for r in counts])
         posterior = {(tuple(r[0]), r[1]): v for r, v in zip(counts, q.tolist(), strict=True)}
-        order = [F.xxhash64("doc_id"), F.col("doc_id")]
-        rows = learned.filter("toxic is not null").select("x", "votes", "toxic").limit(sample).unionByName(learned.filter("toxic is null").orderBy(*order).limit(sample).select("x", "votes", "toxic")).toArrow()
-        x = np.asarray(rows.column("x").to_pylist(), dtype=float)
-        y = np.asarray([posterior[tuple(v), t] for v, t in zip(rows.column("votes").to_pylist(), rows.column("toxic").to_pylist(), strict=True)])
-        weights = fit_linear(x, y)
+        weights = fit_all(learned.select("x", "votes", "toxic"), posterior)
 
     def scored(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:

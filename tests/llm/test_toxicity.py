@@ -3,7 +3,7 @@ import zlib
 
 import numpy as np
 
-from episode_engine.llm.toxicity import INSULTS, Voters, fit_linear, label_model, toxicity
+from episode_engine.llm.toxicity import INSULTS, Voters, fit_all, fit_linear, label_model, toxicity
 
 
 def made(n=600, seed=3):
@@ -60,3 +60,22 @@ def test_repeating_voters_count_once():
     assert q[0] > q[2] > q[1]
     x = np.asarray([[0.0], [1.0], [2.0]])
     assert fit_linear(x, np.asarray([0.0, 0.5, 1.0]), 0.1)[0] > 0
+
+
+def test_all_rows_without_a_label_are_learned_from(spark):
+    docs, _ = made(300, seed=8)
+    d, none = spark.createDataFrame(docs, "doc_id long, text string").repartition(3), spark.createDataFrame([], "doc_id long, toxic int")
+    few, all_ = ({r.doc_id: r.score for r in toxicity(d, none, sample=n).collect()} for n in (10, 10_000))
+    assert few.keys() == all_.keys() and all(abs(few[i] - all_[i]) < 1e-9 for i in few)
+
+
+def test_distributed_fit_equals_local_fit(spark):
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(200, 3)).astype(np.float32)
+    votes = [[int(a > 0), int(b > 1)] for a, b in x[:, :2]]
+    posterior = {((a, b), t): 0.1 + 0.3 * a + 0.5 * b if t is None else float(t) for a in (0, 1) for b in (0, 1) for t in (None, 0, 1)}
+    labels = [None if i % 3 else i % 2 for i in range(200)]
+    rows = [(a.tolist(), v, t) for a, v, t in zip(x, votes, labels, strict=True)]
+    got = fit_all(spark.createDataFrame(rows, "x array<float>, votes array<int>, toxic int").repartition(5), posterior)
+    want = fit_linear(x.astype(float), np.asarray([posterior[tuple(v), t] for v, t in zip(votes, labels, strict=True)]))
+    assert np.allclose(got, want, atol=1e-9)
