@@ -7,6 +7,8 @@ path becomes one string with a loss mask.
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -28,10 +30,18 @@ def unescape(text: Column) -> Column:
     return F.regexp_replace(text, r"(?s)\\(.)", "$1")
 
 
+def _join(left: DataFrame, right: DataFrame, keys: list[str], how: str = "inner") -> DataFrame:
+    """left join right on keys, as with their names, but a null conv_id is equal to a null conv_id."""
+    theirs = {k: f"_right_{k}" for k in keys}
+    equal = [F.col(k).eqNullSafe(F.col(r)) if k == "conv_id" else F.col(k) == F.col(r) for k, r in theirs.items()]
+    return left.join(right.withColumnsRenamed(theirs), reduce(Column.__and__, equal), how).drop(*theirs.values())
+
+
 def as_chains(conversations: DataFrame) -> DataFrame:
     """conversations(conv_id, turn, role, text, ...) -> messages, each the reply to the one before it.
 
     Equal turns of one conversation are put in order by role and text, and all kept; null roles and texts become empty.
+    Rows with a null conv_id are one conversation.
     """
     rows = conversations.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
     node = F.row_number().over(W.partitionBy("conv_id").orderBy("turn", "role", "text")).cast("long")
@@ -46,21 +56,21 @@ def branches(messages: DataFrame) -> DataFrame:
     """
     key = ["conv_id", "node"]
     ids = messages.select(*key, "parent")
-    up = written(ids.join(ids.select("conv_id", F.col("node").alias("parent")), ["conv_id", "parent"]).select(*key, F.col("parent").alias("to")), "jumps")
-    leaves = ids.join(up.select("conv_id", F.col("to").alias("node")), key, "left_anti")
+    up = written(_join(ids, ids.select("conv_id", F.col("node").alias("parent")), ["conv_id", "parent"]).select(*key, F.col("parent").alias("to")), "jumps")
+    leaves = _join(ids, up.select("conv_id", F.col("to").alias("node")), key, "left_anti")
     paths = leaves.select("conv_id", F.col("node").alias("leaf"), "node", F.lit(0).cast("long").alias("up"))
     paths = written(paths, "paths")
     for k in range(MAX_ROUNDS):
         if up.isEmpty():
             return paths
-        further = paths.join(up, key).select("conv_id", "leaf", F.col("to").alias("node"), (F.col("up") + F.lit(2**k)).alias("up"))
+        further = _join(paths, up, key).select("conv_id", "leaf", F.col("to").alias("node"), (F.col("up") + F.lit(2**k)).alias("up"))
         longer = written(paths.unionByName(further), "paths")
-        twice = up.join(up.select("conv_id", F.col("node").alias("to"), F.col("to").alias("to2")), ["conv_id", "to"])
+        twice = _join(up, up.select("conv_id", F.col("node").alias("to"), F.col("to").alias("to2")), ["conv_id", "to"])
         twice = written(twice.select(*key, F.col("to2").alias("to")), "jumps")
         discard(paths, up)
         paths, up = longer, twice
     # What still has an ancestor 2 ** MAX_ROUNDS steps up is below a cycle.
-    return paths.join(up.select("conv_id", F.col("node").alias("leaf")).distinct(), ["conv_id", "leaf"], "left_anti")
+    return _join(paths, up.select("conv_id", F.col("node").alias("leaf")).distinct(), ["conv_id", "leaf"], "left_anti")
 
 
 def format_trees(messages: DataFrame, top_k: int = 1, loss_roles: tuple[str, ...] = ("assistant",)) -> DataFrame:
@@ -69,17 +79,18 @@ def format_trees(messages: DataFrame, top_k: int = 1, loss_roles: tuple[str, ...
     conv_id, leaf, branch_rank (1 is best: the highest sum of scores, then the longest path, then the smallest leaf),
     n_turns, formatted, loss_spans (array of start and length in UTF-8 bytes of `formatted`; they cover the texts of
     `loss_roles`, escaped). (conv_id, node) must be unique. Null scores count 0, null roles and texts as empty.
+    Messages with a null conv_id are one conversation; a message with a null node is on no path and left out.
     An empty table gives no rows; extra columns are ignored.
     """
     rows = messages.select("conv_id", "node", "parent", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"), F.coalesce("score", F.lit(0.0)).alias("score"))
     paths = branches(rows)
-    scored = paths.join(rows.select("conv_id", "node", "score"), ["conv_id", "node"])
+    scored = _join(paths, rows.select("conv_id", "node", "score"), ["conv_id", "node"])
     ranked = scored.groupBy("conv_id", "leaf").agg(F.sum("score").alias("total"), F.count("*").alias("n_turns"))
     best = F.row_number().over(W.partitionBy("conv_id").orderBy(F.desc("total"), F.desc("n_turns"), "leaf"))
     chosen = ranked.withColumn("branch_rank", best.cast("long")).filter(F.col("branch_rank") <= top_k).drop("total")
     head, text = F.concat(F.lit(START), escape(F.col("role")), F.lit(TEXT)), escape(F.col("text"))
     pieces = rows.select("conv_id", "node", F.col("role").isin(*loss_roles).alias("loss"), head.alias("head"), text.alias("body"))
-    on_path = paths.join(chosen, ["conv_id", "leaf"]).join(pieces, ["conv_id", "node"])
+    on_path = _join(_join(paths, chosen, ["conv_id", "leaf"]), pieces, ["conv_id", "node"])
     piece = F.concat("head", "body", F.lit(END))
     before = W.partitionBy("conv_id", "leaf").orderBy(F.desc("up")).rowsBetween(W.unboundedPreceding, -1)
     at = F.coalesce(F.sum(F.octet_length(piece)).over(before), F.lit(0)) + F.octet_length("head")

@@ -85,6 +85,17 @@ def test_quality(spark):
     assert quality.quality(docs_of(spark, [])).count() == 0
 
 
+def test_null_conversations_are_one_conversation(spark):
+    chats = [(None, 0, "user", "a"), (None, 1, "assistant", "b"), (None, 2, "user", "c"), (0, 0, "user", "d"), (0, 1, "assistant", "e")]
+    chain = chat.as_chains(spark.createDataFrame(chats, "conv_id long, turn long, role string, text string"))
+    read = chat.format_trees(chain).withColumn("turns", chat.read_turns(F.col("formatted"))).collect()
+    assert sorted((str(r.conv_id), r.n_turns, [t.text for t in r.turns]) for r in read) == [("0", 2, ["d", "e"]), ("None", 3, ["a", "b", "c"])]
+    tree = [(None, 1, None), (None, 2, 1), (None, 3, 1), (None, 4, 3), (7, 1, None), (7, 2, 1), (None, None, 1), (None, 5, 6), (None, 6, 5)]
+    messages = spark.createDataFrame(tree, "conv_id long, node long, parent long").selectExpr("*", "'user' as role", "'x' as text", "0D as score")
+    got = sorted((str(r.conv_id), r.leaf, r.branch_rank, r.n_turns) for r in chat.format_trees(messages, top_k=9).collect())
+    assert got == [("7", 2, 1, 2), ("None", 2, 2, 2), ("None", 4, 1, 3)]
+
+
 def test_only_candidates_are_counted(spark):
     words = [f"w{i}" for i in range(60)]
     items = spark.createDataFrame([(1, " ".join(words[:30])), (2, " ".join(words[30:]))], "item_id long, text string")
