@@ -16,7 +16,6 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import discard, let_go, partitions, written
@@ -28,10 +27,8 @@ MARGIN = 0.11
 #: Ids up to which the candidates' list (8 bytes each) is broadcast to pick their texts; beyond, the join is shuffled.
 BROADCAST_IDS = 1_000_000
 WORD_CACHE = 400_000
-#: Rounds in which each document meets its best partner in another component only; then all that are left meet.
-BEST_ROUNDS = 1
-#: Members of a bucket that are compared at a time.
-CHUNK = 2048
+#: Members of a block, of which two meet in a task, and elements of their sets.
+CHUNK, ITEMS = 2048, 1_000_000
 _U = np.uint64
 
 
@@ -146,14 +143,10 @@ def estimated(pairs: DataFrame, sigs: DataFrame, least: float) -> DataFrame:
     return both.mapInArrow(judged, "a long, b long, j double")
 
 
-def verified(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """pairs(a, b), distinct, that hold 100 * intersection >= percent * union on their full sets.
-
-    Each b's set travels to its a; a sorted partition holds one a's set at a time.
-    """
-    ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b"))).distinct()
-    ids = F.broadcast(ids) if pairs.count() * 2 <= BROADCAST_IDS else ids
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(ids, "doc_id", "left_semi")
+def full_sets(docs: DataFrame, ids: DataFrame, most: int, width: int) -> DataFrame:
+    """doc_id, s (the sorted shingle hashes as bytes) of the documents in ids(doc_id), of which there are `most` at most."""
+    wanted = F.broadcast(ids) if most <= BROADCAST_IDS else ids
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(wanted, "doc_id", "left_semi")
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         let_go()
@@ -163,8 +156,16 @@ def verified(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> Dat
                 part = b.slice(at, 500)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([shingle_set(t.as_py(), width, hashes).tobytes() for t in part.column(1)], pa.binary())], ["doc_id", "s"])
 
-    made = texts.mapInArrow(sets, "doc_id long, s binary").dropDuplicates(["doc_id"])
-    made = written(made, "sets")
+    return written(texts.mapInArrow(sets, "doc_id long, s binary").dropDuplicates(["doc_id"]), "sets")
+
+
+def verified(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> DataFrame:
+    """pairs(a, b), distinct and with one a for each b, that hold 100 * intersection >= percent * union on their full sets.
+
+    Each b's set travels to its a; a sorted partition holds one a's set at a time.
+    """
+    ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b"))).distinct()
+    made = full_sets(docs, ids, pairs.count() * 2, width)
     wanted = pairs.select("a", "b").union(pairs.select("a", F.col("a").alias("b")).distinct())
     rows = wanted.join(made.withColumnRenamed("doc_id", "b"), "b").select("a", (F.col("a") != F.col("b")).alias("other"), "b", "s")
 
@@ -186,63 +187,43 @@ def verified(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> Dat
     return dealt.mapInArrow(compared, "a long, b long")
 
 
-def cross_pairs(members: DataFrame, sigs: DataFrame, least: float, percent: int, width: int, best: bool) -> DataFrame:
-    """members(key, band, doc_id, n, c, tried): pairs (a, b) of one key and different c whose estimate reaches `least`, but those in `tried`.
+GRID = ["key", "lo", "hi", "own", "inner"]
+
 
-    A pair comes from the first band on which its registers agree only. Estimates are never above the share of equal
-    registers, so that the correction is worked out for the pairs whose share reaches `least`.
+def grid(members: DataFrame, chunk: int, items: int) -> DataFrame:
+    """members(key, doc_id, c, n): the blocks (key, lo, hi) in which members of one key and different c meet, each pair once.
 
-    With `best` a document of a block gives the partner of the highest estimate only, so that there are no more rows than members.
-    Registers are compared in blocks of CHUNK members: a task holds two blocks of a key however large it is, and the
-    small blocks of many keys at once.
+    The largest c of a key is its major side, all else the minor one. Either is dealt by a hash of the id into blocks of
+    about `chunk` members and `items` set elements. A minor block meets every block and a major one only minor ones, so
+    that a huge class beside a few others is copied once. Pairs inside a minor block are looked at where it meets the last block
+    (`inner`). No window and no task holds all of a key.
     """
-    place = F.row_number().over(W.partitionBy("key").orderBy("doc_id")) - 1
-    count = F.count("*").over(W.partitionBy("key"))
-    rows = members.select("*", F.floor(place / CHUNK).alias("own"), F.floor((count - 1) / CHUNK).alias("top"))
-    rows = rows.withColumn("d", F.explode(F.sequence(F.lit(0).cast("long"), "top")))
-    rows = rows.select("key", "band", F.least("own", "d").alias("lo"), F.greatest("own", "d").alias("hi"), "own", "doc_id", "n", "c", "tried")
-    rows = rows.join(sigs.select("doc_id", "regs"), "doc_id")
-    dealt = rows.repartition(partitions(members.sparkSession), "key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "doc_id")
-    dealt = dealt.select("key", "lo", "hi", "band", "own", "doc_id", "n", "c", "tried", "regs")
-
-    def compared(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        key, lo, hi, band, own, ids, n, c = (t.column(x).to_numpy() for x in ("key", "lo", "hi", "band", "own", "doc_id", "n", "c"))
-        regs = np.frombuffer(b"".join(t.column("regs").to_pylist()), np.uint16).reshape(len(ids), -1)
-        tried = [frozenset(x) for x in t.column("tried").to_pylist()]
-        new = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])]))
-        end = np.repeat(np.append(new[1:], len(ids)), np.diff(np.append(new, len(ids))))
-        at, found = np.arange(len(ids)), []
-        for d in range(1, int((end - at).max()) if len(ids) else 0):
-            at = at[at + d < end[at]]
-            x, y = at, at + d
-            ok = (c[x] != c[y]) & ((lo[x] == hi[x]) | (own[x] != own[y])) & (100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y]))
-            x, y = x[ok], y[ok]
-            for k in range(0, len(x), 4096):
-                p, q = x[k : k + 4096], y[k : k + 4096]
-                equal = regs[p] == regs[q]
-                share = equal.mean(axis=1)
-                ok = np.flatnonzero(share >= least)
-                ok = ok[equal[ok].reshape(len(ok), equal.shape[1] // width, width).all(axis=2).argmax(axis=1) == band[p[ok]]]
-                p, q, e = p[ok], q[ok], estimate(share[ok], n[p[ok]], n[q[ok]])
-                ok = np.asarray([i for i in np.flatnonzero(e >= least) if ids[q[i]] not in tried[p[i]] and ids[p[i]] not in tried[q[i]]], dtype=np.int64)
-                found.append((p[ok], q[ok], e[ok]))
-        if not found:
-            return np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)
-        x, y, e = (np.concatenate(z) for z in zip(*found, strict=True))
-        if best:
-            x, y, e = np.concatenate([x, y]), np.concatenate([y, x]), np.concatenate([e, e])
-            order = np.lexsort((y, -e, x))
-            order = order[np.concatenate([[True], x[order][1:] != x[order][:-1]])] if len(order) else order
-            x, y, e = x[order], y[order], e[order]
-        return ids[x], ids[y], e
-
-    def blocks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """Whole blocks only: the rows of a batch's last block wait for the next batch."""
+    per = members.groupBy("key", "c").agg(F.count("*").alias("cnt"), F.sum("n").alias("w"))
+    shape = per.groupBy("key").agg(F.max(F.struct("cnt", "w", "c")).alias("top"), F.sum("cnt").alias("cnt"), F.sum("w").alias("w"), F.count("*").alias("kinds")).filter("kinds > 1")
+    blocks = lambda cnt, w: F.greatest(F.ceil(cnt / F.lit(chunk)), F.ceil(w / F.lit(items)))
+    shape = shape.select("key", F.col("top.c").alias("major"), blocks(F.col("top.cnt"), F.col("top.w")).alias("nb"), blocks(F.col("cnt") - F.col("top.cnt"), F.col("w") - F.col("top.w")).alias("na"))
+    rows = members.join(shape, "key")
+    h, major = F.xxhash64("doc_id"), F.col("c") == F.col("major")
+    rows = rows.withColumn("own", F.when(major, F.col("na") + F.pmod(h, "nb")).otherwise(F.pmod(h, "na")))
+    rows = rows.withColumn("d", F.explode(F.sequence(F.lit(0).cast("long"), F.when(major, F.col("na")).otherwise(F.col("na") + F.col("nb")) - 1))).filter("d != own")
+    rows = rows.withColumn("lo", F.least("own", "d")).withColumn("hi", F.greatest("own", "d"))
+    return rows.withColumn("inner", F.col("hi") == F.col("na") + F.col("nb") - 1).select(*GRID, "doc_id", "c", "n")
+
+
+def in_blocks(rows: DataFrame, judge, schema: str) -> DataFrame:
+    """judge(table) over the rows of whole blocks (key, lo, hi), in order of (key, lo, hi, own, doc_id); several small blocks come at once.
+
+    judge returns arrays (a, b). A block is never split: the rows of a batch's last block wait for the next batch.
+    """
+    dealt = rows.repartition(partitions(rows.sparkSession), "key", "lo", "hi").sortWithinPartitions("key", "lo", "hi", "own", "doc_id")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        let_go()
         wait: list[pa.RecordBatch] = []
         last = None
 
         def out(parts: list[pa.RecordBatch]) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(z) for z in compared(pa.Table.from_batches(parts))], ["a", "b", "j"])
+            return pa.RecordBatch.from_arrays([pa.array(np.asarray(z, dtype=np.int64)) for z in judge(pa.Table.from_batches(parts))], ["a", "b"])
 
         for t in batches:
             for at in range(0, t.num_rows, 2 * CHUNK):
@@ -260,7 +241,92 @@ def cross_pairs(members: DataFrame, sigs: DataFrame, least: float, percent: int,
         if wait:
             yield out(wait)
 
-    return dealt.mapInArrow(blocks, "a long, b long, j double")
+    return dealt.mapInArrow(run, schema)
+
+
+def _runs(t: pa.Table) -> np.ndarray:
+    """Where the blocks of a table begin, and its length at the end."""
+    key, lo, hi = (t.column(x).to_numpy() for x in GRID[:3])
+    new = np.flatnonzero((key[1:] != key[:-1]) | (lo[1:] != lo[:-1]) | (hi[1:] != hi[:-1])) + 1
+    return np.concatenate([[0], new, [len(key)]])
+
+
+def candidate_forest(blocks: DataFrame, sigs: DataFrame, least: float, percent: int) -> DataFrame:
+    """(a, b) that join, in each block, all members which a chain of pairs with estimates of `least` or more joins.
+
+    Only pairs of different c and of fitting sizes count. A pair whose ends are joined already is not looked at: there are
+    fewer rows than members, however many pairs agree.
+    """
+
+    def judge(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+        own, inner, ids, n, c = (t.column(x).to_numpy() for x in ("own", "inner", "doc_id", "n", "c"))
+        regs = np.frombuffer(b"".join(t.column("regs").to_pylist()), np.uint16).reshape(len(ids), -1)
+        edge = _runs(t)
+        end = np.repeat(edge[1:], np.diff(edge))
+        label, at, found = np.arange(len(ids)), np.arange(len(ids)), []
+        for d in range(1, int(np.diff(edge).max()) if len(ids) else 0):
+            at = at[at + d < end[at]]
+            x, y = at, at + d
+            ok = (c[x] != c[y]) & (inner[x] | (own[x] != own[y])) & (100 * np.minimum(n[x], n[y]) >= percent * np.maximum(n[x], n[y]))
+            x, y = x[ok], y[ok]
+            for k in range(0, len(x), 4096):
+                p, q = x[k : k + 4096], y[k : k + 4096]
+                ok = label[p] != label[q]
+                p, q = p[ok], q[ok]
+                share = (regs[p] == regs[q]).mean(axis=1)
+                ok = np.flatnonzero(share >= least)  # an estimate is never above the share
+                p, q = p[ok], q[ok]
+                ok = estimate(share[ok], n[p], n[q]) >= least
+                for i, j in zip(p[ok].tolist(), q[ok].tolist(), strict=True):
+                    if label[i] != label[j]:
+                        label[label == label[j]] = label[i]
+                        found.append((i, j))
+        x, y = (np.asarray([f[k] for f in found], dtype=np.int64) for k in (0, 1))
+        return ids[x], ids[y]
+
+    rows = blocks.join(sigs.select("doc_id", "regs"), "doc_id").select(*GRID, "doc_id", "c", "n", "regs")
+    return in_blocks(rows, judge, "a long, b long")
+
+
+def spanning_links(blocks: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Verified links (a, b) that join the classes c of each block as all of its links would: fewer rows than classes.
+
+    Sets of different classes are intersected in full, unless links found before have joined the two.
+    """
+
+    def of_block(ids, c, own, inner, raw) -> list[tuple[int, int]]:
+        n = np.asarray([len(r) // 8 for r in raw])
+        start = np.concatenate([[0], np.cumsum(n)])
+        codes = np.unique(np.frombuffer(b"".join(raw), np.uint64), return_inverse=True)[1]
+        here, label, out = np.zeros(int(codes.max()) + 1, dtype=np.uint8), np.unique(c, return_inverse=True)[1], []
+        for x in range(len(ids) - 1):
+            rest = slice(x + 1, len(ids))
+            ok = (label[rest] != label[x]) & (100 * np.minimum(n[rest], n[x]) >= percent * np.maximum(n[rest], n[x]))
+            ys = np.flatnonzero(ok if inner else ok & (own[rest] != own[x])) + x + 1
+            if not len(ys):
+                continue
+            here[codes[start[x] : start[x + 1]]] = 1
+            if 2 * len(ys) > len(ids) - x:
+                both = np.add.reduceat(here[codes[start[x + 1] :]], start[x + 1 : -1] - start[x + 1], dtype=np.int64)[ys - x - 1]
+            else:
+                both = np.asarray([int(here[codes[start[y] : start[y + 1]]].sum(dtype=np.int64)) for y in ys.tolist()])
+            here[codes[start[x] : start[x + 1]]] = 0
+            for y in ys[100 * both >= percent * (n[x] + n[ys] - both)].tolist():
+                if label[y] != label[x]:
+                    label[label == label[y]] = label[x]
+                    out.append((ids[x], ids[y]))
+        return out
+
+    def judge(t: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+        ids, c, own, inner = (t.column(x).to_numpy() for x in ("doc_id", "c", "own", "inner"))
+        raw, edge, out = t.column("s").to_pylist(), _runs(t), []
+        for i, j in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+            if j - i > 1:
+                out += of_block(ids[i:j], c[i:j], own[i:j], bool(inner[i]), raw[i:j])
+        return tuple(np.asarray([e[k] for e in out], dtype=np.int64) for k in (0, 1))
+
+    rows = blocks.join(sets, "doc_id").select(*GRID, "doc_id", "c", "s")
+    return in_blocks(rows, judge, "a long, b long")
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -295,7 +361,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, rows: in
     classes = written(sigs.filter("n > 0").groupBy("f1", "f2").agg(F.min("doc_id").alias("rep")), "classes")
     reps = sigs.join(classes.select("f1", "f2", F.col("rep").alias("doc_id")), ["f1", "f2", "doc_id"], "left_semi").select("doc_id", "n", "keys", "regs").dropDuplicates(["doc_id"])
     reps = written(reps, "reps")
-    keyed = reps.select("doc_id", "n", F.posexplode("keys").alias("band", "key"))
+    keyed = reps.select("doc_id", "n", F.explode("keys").alias("key"))
     shared = keyed.groupBy("key").agg(F.min("doc_id").alias("first"), F.count("*").alias("_n")).filter("_n > 1").drop("_n")
     buckets = written(keyed.join(shared, "key"), "buckets")
     least = percent / 100 - MARGIN
@@ -306,27 +372,17 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, rows: in
     star = written(estimated(star, reps, least).groupBy("b").agg(F.max_by("a", F.struct("j", -F.col("a"))).alias("a")).select("a", "b"), "star")
     first_edges = written(verified(star, docs, width, percent), "links")
     found = components(first_edges)
-    # Then members of a bucket that are still in different components meet: first each its best partner, as long as that
-    # links something, and in the end all that are left.
-    edges, tried, best = first_edges.select("a", "b"), star.select("a", "b"), True  # tried: b has chosen a
-    for after in range(BEST_ROUNDS + 1):
-        best = best and after < BEST_ROUNDS
-        named = buckets.join(found, "doc_id", "left").select("key", "band", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
-        mixed = named.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo != hi").select("key")
-        partners = tried.groupBy(F.col("b").alias("doc_id")).agg(F.collect_set("a").alias("tried"))
-        open_ = named.join(mixed, "key", "left_semi").join(partners, "doc_id", "left").withColumn("tried", F.coalesce("tried", F.array().cast("array<bigint>")))
-        cross = cross_pairs(written(open_, "open"), reps, least, percent, rows, best)
-        if best:
-            cross = written(cross.groupBy("a").agg(F.max_by("b", F.struct("j", -F.col("b"))).alias("b")), "best")
-            tried = tried.union(cross.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        cross = written(cross.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "cross")
-        more = written(verified(cross, docs, width, percent), "links")
-        linked = not more.isEmpty()
-        edges = edges.union(more.select("a", "b"))
-        found = components(edges) if linked else found
-        if not best:
-            break
-        best = linked
+    # Then members of a bucket that are still in different components meet. Estimates join them to candidate groups, as
+    # forests; inside a group all that are in different components are compared on full sets, and links come as forests too.
+    named = buckets.join(found, "doc_id", "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
+    forest = written(candidate_forest(grid(named, CHUNK, ITEMS), reps, least, percent).distinct(), "forest")
+    if not forest.isEmpty():
+        groups = written(components(forest), "groups")
+        members = groups.join(reps.select("doc_id", "n"), "doc_id").join(found.withColumnRenamed("component", "c"), "doc_id", "left")
+        members = members.select(F.col("component").alias("key"), "doc_id", F.coalesce("c", "doc_id").alias("c"), "n")
+        sets = full_sets(docs, groups.select("doc_id"), groups.count(), width)
+        more = written(spanning_links(grid(members, CHUNK, ITEMS), sets, percent), "links")
+        found = components(first_edges.select("a", "b").union(more)) if not more.isEmpty() else found
     comp = classes.join(found.withColumnRenamed("doc_id", "rep"), "rep", "left").select("f1", "f2", F.coalesce("component", "rep").alias("component"))
     out = sigs.select("doc_id", "n", "f1", "f2").join(comp, ["f1", "f2"], "left")
     component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component"))

@@ -68,3 +68,40 @@ def test_collisions_are_rare_and_symmetric():
     a, b = np.asarray([10, 500]), np.asarray([400, 500])
     e = collision_rate(a, b)
     assert ((e > 0) & (e < 0.002)).all() and np.allclose(e, collision_rate(b, a))
+
+
+def test_a_large_group_in_many_small_blocks(spark, monkeypatch):
+    """Near copies of one text whose likeness lies around the threshold, beside a large class that is linked at once."""
+    from episode_engine.llm import neardup
+
+    rng = random.Random(3)
+    base, rows = [f"w{i}" for i in range(100)], []
+    for k in range(260):
+        w = list(base)
+        for _ in range(rng.choice([0, 1, 3, 5, 7, 9])):
+            w[rng.randrange(len(w))] = f"x{rng.randrange(10**6)}"
+        rows.append((k, " ".join(w)))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    for chunk, items in ((7, 1_000_000), (2048, 900), (2048, 1_000_000)):
+        monkeypatch.setattr(neardup, "CHUNK", chunk)
+        monkeypatch.setattr(neardup, "ITEMS", items)
+        assert sorted(tuple(r) for r in near_duplicates(df, 2, 80).collect()) == brute(rows, 2, 80)
+
+
+def test_grid_lets_each_pair_of_different_classes_meet_once(spark):
+    from collections import Counter
+
+    from episode_engine.llm.neardup import grid
+
+    rows = [(k, d, c, 5) for k, sizes in ((1, (40, 9, 1, 1)), (2, (3, 3)), (3, (6,))) for d, c in enumerate(c for c, size in enumerate(sizes) for _ in range(size))]
+    got = grid(spark.createDataFrame(rows, "key long, doc_id long, c long, n long"), 4, 1000).collect()
+    blocks = {}
+    for r in got:
+        blocks.setdefault((r.key, r.lo, r.hi), []).append(r)
+    met = Counter()
+    for (key, _, _), own in blocks.items():
+        for x, y in combinations(own, 2):
+            if x.c != y.c and (x.inner or x.own != y.own):
+                met[key, min(x.doc_id, y.doc_id), max(x.doc_id, y.doc_id)] += 1
+    expected = {(k, a, b) for (k, a, c, _), (j, b, e, _) in combinations(rows, 2) if k == j and c != e}
+    assert set(met) == expected and set(met.values()) == {1}
