@@ -7,8 +7,12 @@ pieces of their length. Only the tokeniser runs in Python over texts; nothing th
 
 from __future__ import annotations
 
+import json
 import os
+import re
+import sys
 import zlib
+from array import array
 from bisect import bisect_right
 from collections.abc import Iterator
 
@@ -26,11 +30,57 @@ CACHE = 800_000
 PIECES = "task int, doc_id long, piece int, start long, length long, ids_crc32 long, local_rank long"
 
 
+#: Characters of which NFC keeps every text as it is and whose lower-case forms are one character each, whatever stands beside them.
+PLAIN = re.compile("[!-~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u0148\u014a-\u017f]*\\Z")
+
+
+def byte_letters() -> dict[int, str]:
+    """For each byte the character that byte-level vocabularies write it as: printable ones stand for themselves, the rest follow from 256 on."""
+    own = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [x for x in range(256) if x not in own]
+    return {x: chr(x) for x in own} | {x: chr(256 + k) for k, x in enumerate(rest)}
+
+
+class WordModel:
+    """The model of a tokenizer that normalises by NFC, white space and lower case, splits by one pattern and maps bytes to letters.
+
+    Its steps are done here for plain chunks, so that the model alone has to be asked, once for each word.
+    """
+
+    def __init__(self, tokenizer, pattern: str) -> None:
+        # Of plain lower-case chunks these are all letters and digits there are.
+        own = pattern.replace(r"\p{L}", "a-z\u00df-\u00f6\u00f8-\u017f").replace(r"\p{N}", "0-9")
+        self.model, self.words, self.letters, self.cache = tokenizer.model, re.compile(own).findall, byte_letters(), {}
+
+    @classmethod
+    def of(cls, tokenizer) -> WordModel | None:
+        made = json.loads(tokenizer.to_str())
+        steps = (made.get("normalizer") or {}).get("normalizers") or []
+        parts = (made.get("pre_tokenizer") or {}).get("pretokenizers") or []
+        lower = [x["type"] for x in steps] == ["NFC", "Replace", "Lowercase"] and steps[1]["pattern"] == {"Regex": "\\s+"}
+        split = [x["type"] for x in parts] == ["Split", "ByteLevel"] and parts[0]["invert"] and parts[0]["behavior"] == "Removed" and not parts[1]["add_prefix_space"] and not parts[1]["use_regex"]
+        if not (lower and split and made.get("post_processor") is None):
+            return None
+        pattern = parts[0]["pattern"]["Regex"]
+        bare = re.sub(r"\[[^\]]*\]", "", pattern)  # classes may stand inside brackets only
+        return cls(tokenizer, pattern) if "\\" not in bare and not re.search(r"\\(?!s|p\{[LN]\})", pattern) else None
+
+    def ids(self, chunk: str) -> bytes:
+        out = []
+        for w in self.words(chunk.lower()):
+            if (got := self.cache.get(w)) is None:
+                written = w if w.isascii() else w.encode().decode("latin1").translate(self.letters)
+                got = self.cache[w] = array("I", [t.id for t in self.model.tokenize(written)]).tobytes()
+            out.append(got)
+        return out[0] if len(out) == 1 else b"".join(out)
+
+
 class ChunkTokenizer:
     """Token ids of a text as little-endian unsigned 32-bit numbers, chunk by chunk.
 
     For tokenizers that drop white space and never join across it: blanks and line feeds split the text,
-    and the ids of the chunks are joined. Chunks repeat a lot, so each is tokenised once.
+    and the ids of the chunks are joined. Chunks repeat a lot, so each is tokenised once. Plain chunks go to the model by
+    WordModel where the tokenizer is of that kind, all others and those that may hold a special token through the whole tokenizer.
     """
 
     def __init__(self, path: str) -> None:
@@ -38,8 +88,11 @@ class ChunkTokenizer:
         from tokenizers import Tokenizer
 
         self.tokenizer, self.cache = Tokenizer.from_file(path), {"": b""}
-        special = [(t.content, i) for i, t in self.tokenizer.get_added_tokens_decoder().items() if t.special and not (t.lstrip or t.rstrip)]
+        added = list(self.tokenizer.get_added_tokens_decoder().items())
+        special = [(t.content, i) for i, t in added if t.special and not (t.lstrip or t.rstrip)]
         self.mark, self.mark_id = special[0] if special else (None, -1)
+        self.starts = {t.content[:2] for _, t in added}
+        self.plain = WordModel.of(self.tokenizer) if array("I").itemsize == 4 and sys.byteorder == "little" else None
 
     def ids(self, text: str) -> bytes:
         chunks = text.replace("\n", " ").split(" ")
@@ -49,8 +102,19 @@ class ChunkTokenizer:
             pass
         if len(self.cache) > CACHE:
             self.cache = {"": b""}
+            if self.plain:
+                self.plain.cache.clear()
         new = [c for c in set(chunks) if c not in self.cache]
-        self._encode(new)
+        if self.plain:
+            rest = []
+            for c in new:
+                if PLAIN.match(c) and not any(x in c for x in self.starts):
+                    self.cache[c] = self.plain.ids(c)
+                else:
+                    rest.append(c)
+            new = rest
+        if new:
+            self._encode(new)
         return b"".join(map(self.cache.__getitem__, chunks))
 
     def _encode(self, new: list[str]) -> None:

@@ -48,3 +48,26 @@ def test_plan_uses_every_piece_once_and_two_may_replace_one():
 
 def test_empty_table(spark):
     assert pack(spark.createDataFrame([], "doc_id long, text string"), public_tokenizers.path("word_bpe_49k.json")).count() == 0
+
+
+def test_plain_words_have_the_ids_of_the_whole_tokenizer():
+    import random
+
+    from tokenizers import Tokenizer
+
+    from episode_engine.llm.packing import ChunkTokenizer
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    whole, tok, rng = Tokenizer.from_file(path), ChunkTokenizer(path), random.Random(4)
+    assert tok.plain is not None
+    letters = [chr(x) for x in range(33, 0x250)] + list("ΑΣσςЖж漢字İıſŉǅﬁ①½²́‍\xa0\x85 \t\r\x0b\x00😀")
+    common = "etaoinETAOIN'sntvd0123456789.,-ßéÄñ"
+    for _ in range(3000):
+        text = "".join(rng.choice(letters if rng.random() < 0.3 else common) for _ in range(rng.randint(0, 25)))
+        if rng.random() < 0.1:
+            text += rng.choice(["<|endoftext|>", "<|startoftext|>", "<|", "'S 'LL we'Ve"])
+        want = np.asarray(whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        assert tok.ids(text) == want, repr(text)
+    for x in range(33, 0x180):
+        for text in (chr(x), "a" + chr(x), chr(x) + "b", "a" + chr(x) + chr(x) + "Σ"):
+            assert tok.ids(text) == np.asarray(whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes(), repr(text)
