@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from functools import reduce
 from itertools import permutations
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,8 +10,8 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .functions.model import Episode, episode_nodes, expand_roles, gap_ok
-from .operators import compaction, counting, measures, mining, scheduling, serial, stitching, tracking
-from .plans.planner import choose_compaction, choose_strategy
+from .operators import compaction, counting, measures, mining, scheduling, segments, serial, stitching, tracking
+from .plans.planner import plan_count
 from .sources import streams as S
 from .streaming import online
 
@@ -120,7 +119,7 @@ def _(spark, d):
 
 @add("position_index", f"SELECT ty AS event_type, t, row_number() OVER (PARTITION BY ty ORDER BY t) AS pos FROM {EVENTS}")
 def _(spark, d):
-    return S.position_index(S.events_by_type(spark, d)).select("event_type", "t", "pos")
+    return S.position_index(S.events_by_type(spark, d), DAY).select("event_type", "t", "pos")
 
 
 @add("episode_nodes", f"SELECT 'view>click>purchase' AS episode_id, i AS pos, ty AS event_type, CASE WHEN i > 0 THEN 5 * {U} END AS low, CASE WHEN i > 0 THEN 10 * {U} END AS high FROM (VALUES (0, 'view'), (1, 'click'), (2, 'purchase')) v(i, ty)")
@@ -173,7 +172,10 @@ def _(spark, d):
 
 
 # Tracking
-counter("count_local_tracking", MAIN_SQL, lambda ev, ep, unit: counting.count_nonoverlapping(ev, ep, seg_len=200 * unit), one)
+@add("count_local_tracking", MAIN_SQL)
+def _(spark, d):
+    unit = S.unit(spark, d)
+    return counting.count_nonoverlapping(S.events_by_type(spark, d, merge=False), one(unit), seg_len=200 * unit)
 
 
 def tracker(name: str, f: Callable, sql: str = OCC_SQL, cols: tuple = ("t_start", "t_end"), episodes: Callable = one) -> None:
@@ -200,12 +202,19 @@ DAYS_EP = {"count_per_user": (S.events_per_user, Episode.of(*CYCLE[:3], gaps=[(0
 for _name, (_source, _ep, _sql) in DAYS_EP.items():
     add(_name, sql_count(_ep.episode_id, list(_ep.types), [(str(a), str(b)) for a, b in zip(_ep.low, _ep.high, strict=True)], _sql))(lambda spark, d, source=_source, ep=_ep: counting.count_nonoverlapping(source(spark, d), [ep]))
 
-# Compaction
+# Compaction: a row for each path, and the place that each way gives it
+PLACES = ALL_SQL
 DISTINCT_SQL = f"SELECT DISTINCT * FROM ({ALL_SQL})"
 for _way in ("unordered", "padded", "count_scan_write"):
-    tracker(f"compact_{_way}", lambda ev, ep, unit, way=_way: compaction.track_by(ev, ep[0], way), DISTINCT_SQL)
-counter("count_csw_backward", MAIN_SQL, lambda ev, ep, unit: scheduling.schedule_fold(tracking.track_backward(ev, ep, 200 * unit)), one)
-for _op in ("sum", "max"):
+    tracker(f"compact_{_way}", lambda ev, ep, unit, way=_way: compaction.track_by(ev, ep[0], way, seg_len=200 * unit), PLACES)
+    tracker(f"compact_{_way}_index", lambda ev, ep, unit, way=_way: compaction.dense(compaction.track_by(ev, ep[0], way)), f"SELECT row_number() OVER () - 1 AS index FROM ({PLACES})", ("index",))
+# By end: sorted by construction, so that the place is the rank by end (places of equal ends may be either way round).
+tracker("compact_csw_backward", lambda ev, ep, unit: compaction.dense(compaction.track_by(ev, ep[0], "count_scan_write", seg_len=200 * unit, backward=True)),
+        f"SELECT row_number() OVER (ORDER BY t_end) - 1 AS index, t_end FROM ({PLACES})", ("index", "t_end"))
+for _way in segments.WAYS:
+    tracker(f"segments_{_way}", lambda ev, ep, unit, way=_way: segments.track_compacted(ev, ep, 200 * unit, way), PLACES)
+counter("count_csw_backward", MAIN_SQL, lambda ev, ep, unit: segments.count_compacted(ev, ep, 200 * unit, ("count_scan_write_backward",)).select("episode_id", "stream_key", "n"), one)
+for _op in ("sum", "max", "min"):
     _start = "coalesce({}, 0)" if _op == "sum" else "{}"
     _frame = f"{_op}(user_id) OVER (ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)"
     add(f"exclusive_scan_{_op}", f"SELECT event_id, CAST({_start.format(_frame)} AS BIGINT) AS scan FROM events")(lambda spark, d, op=_op: compaction.exclusive_scan(S.table(spark, d, "events").select("event_id", "user_id"), ["event_id"], "user_id", op).select("event_id", "scan"))
@@ -220,7 +229,7 @@ def _(spark, d):
 # Scheduling
 for _name, _f in {"schedule_fold": scheduling.schedule_fold, "schedule_kernel": scheduling.schedule_kernel, "schedule_islands": scheduling.schedule_islands, "schedule_jump": scheduling.schedule_jump}.items():
     counter(_name, MAIN_SQL, lambda ev, ep, unit, f=_f: f(tracking.track_window_asof(ev, ep)), one)
-counter("schedule_segments", MAIN_SQL, lambda ev, ep, unit: scheduling.schedule_segments(tracking.track_window_asof(ev, ep, 200 * unit), 200 * unit, 20 * unit), one)
+counter("schedule_segments", MAIN_SQL, lambda ev, ep, unit: scheduling.schedule_segments(tracking.track_window_asof(ev, ep, 200 * unit), 200 * unit), one)
 CHOSEN_SQL = f"""WITH RECURSIVE {sql_levels(MAIN[1], MAIN[2], EVENTS, True)}, g AS (SELECT min(f) AS f FROM l2 UNION ALL SELECT (SELECT min(f) FROM l2 WHERE s > g.f) FROM g WHERE EXISTS (SELECT 1 FROM l2 WHERE s > g.f))
  SELECT l2.s AS t_start, g.f AS t_end FROM g JOIN l2 USING (f)"""
 tracker("schedule_select", lambda ev, ep, unit: scheduling.schedule_select(tracking.track_window_asof(ev, ep)), CHOSEN_SQL)
@@ -285,8 +294,9 @@ def _(spark, d):
 
 @add("explain_strategy")
 def _(spark, d):
-    n, cores = S.table(spark, d, "events").count(), spark.sparkContext.defaultParallelism
-    return spark.createDataFrame([(k, nodes, choose_strategy(k, nodes, n, cores), choose_compaction(nodes, n)) for k, nodes in ((25, 2), (125, 3), (580, 4), (1, 9))], "episodes int, nodes int, counting string, compaction string")
+    n, cores, unit = S.table(spark, d, "events").count(), spark.sparkContext.defaultParallelism, S.unit(spark, d)
+    rows = [(k, nodes, plan_count(k, nodes, 10 * unit * (nodes - 1), S.DAYS * DAY, n, cores)) for k, nodes in ((25, 2), (125, 3), (580, 4), (1, 9), (1, 2))]
+    return spark.createDataFrame([(k, nodes, p.strategy, p.compaction, p.seg_len, p.tasks, p.utilisation) for k, nodes, p in rows], "episodes int, nodes int, counting string, compaction string, seg_len long, tasks int, utilisation double")
 
 
 # Measures
@@ -300,20 +310,22 @@ WINDOW_SQL = f"""WITH RECURSIVE {sql_levels(['view', 'click'], [u(0, 2)], EVENTS
  x AS (SELECT a, b, max(b) OVER (ORDER BY a, b ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS m FROM r), y AS (SELECT *, sum(CASE WHEN m IS NULL OR a > m THEN 1 ELSE 0 END) OVER (ORDER BY a, b) AS g FROM x)
  SELECT 'view>click' AS episode_id, 'all' AS stream_key, CAST(sum(w) AS BIGINT) AS n FROM (SELECT max(b) - min(a) + 1 AS w FROM y GROUP BY g)"""
 counter("frequency_windows", WINDOW_SQL, lambda ev, ep, unit: measures.frequency_windows(ev, ep, 4 * unit), lambda unit: [gapped(CYCLE[:2], 0, 2, unit)])
-LEVEL_SQL = f"""WITH e AS (SELECT * FROM {EVENTS}), a AS (SELECT t AS s, t AS f FROM e WHERE ty = 'view'),
- m1 AS (SELECT a.s, a.f, e.t FROM a JOIN e ON e.ty = 'click' AND e.t > a.f + 5 * {U} AND e.t <= a.f + 10 * {U}), b AS (SELECT DISTINCT s, t AS f FROM m1),
- m2 AS (SELECT b.s, b.f, e.t FROM b JOIN e ON e.ty = 'purchase' AND e.t > b.f + 5 * {U} AND e.t <= b.f + 10 * {U})
- SELECT CAST(1 AS BIGINT) AS level, (SELECT count(*) FROM a) AS seeds, (SELECT count(*) FROM m1) AS matches, (SELECT max(c) FROM (SELECT count(*) AS c FROM m1 GROUP BY s, f)) AS longest
- UNION ALL SELECT 2, (SELECT count(*) FROM b), (SELECT count(*) FROM m2), (SELECT max(c) FROM (SELECT count(*) AS c FROM m2 GROUP BY s, f))"""
+LEVEL_SQL = f"""WITH e AS (SELECT * FROM {EVENTS}), a AS (SELECT t AS f FROM e WHERE ty = 'view'),
+ m1 AS (SELECT a.f, e.t, e.t > a.f + 5 * {U} AND e.t <= a.f + 10 * {U} AS met FROM a JOIN e ON e.ty = 'click' AND e.t // (10 * {U}) BETWEEN (a.f + 5 * {U} + 1) // (10 * {U}) AND (a.f + 10 * {U}) // (10 * {U})),
+ b AS (SELECT t AS f, row_number() OVER () AS id FROM m1 WHERE met),
+ m2 AS (SELECT b.id, e.t > b.f + 5 * {U} AND e.t <= b.f + 10 * {U} AS met FROM b JOIN e ON e.ty = 'purchase' AND e.t // (10 * {U}) BETWEEN (b.f + 5 * {U} + 1) // (10 * {U}) AND (b.f + 10 * {U}) // (10 * {U}))
+ SELECT CAST(1 AS BIGINT) AS level, (SELECT count(*) FROM a) AS seeds, (SELECT count(*) FROM m1) AS tests, (SELECT count(*) FROM m1 WHERE met) AS matches, (SELECT max(c) FROM (SELECT count(*) AS c FROM m1 WHERE met GROUP BY f)) AS longest
+ UNION ALL SELECT 2, (SELECT count(*) FROM b), (SELECT count(*) FROM m2), (SELECT count(*) FROM m2 WHERE met), (SELECT max(c) FROM (SELECT count(*) AS c FROM m2 WHERE met GROUP BY id))"""
 counter("cost_level_sizes", LEVEL_SQL, lambda ev, ep, unit: measures.level_sizes(ev, ep[0]), one)
-counter("cost_work", f"SELECT CAST(sum(matches) AS BIGINT) AS written, CAST(sum(seeds + matches) AS BIGINT) AS one_search, CAST(sum(2 * (seeds + matches)) AS BIGINT) AS two_searches FROM ({LEVEL_SQL})",
-        lambda ev, ep, unit: measures.level_sizes(ev, ep[0]).agg(F.sum("matches").alias("written"), F.sum(F.expr("seeds + matches")).alias("one_search"), F.sum(F.expr("2 * (seeds + matches)")).alias("two_searches")), one)
-counter("cost_branches", f"SELECT level, seeds + matches AS tests FROM ({LEVEL_SQL})", lambda ev, ep, unit: measures.level_sizes(ev, ep[0]).select("level", F.expr("seeds + matches").alias("tests")), one)
+# Work: tests of the gap (twice where the search is run twice), rows written, and rows sorted by end (not by the way that keeps order).
+counter("cost_work", f"SELECT CAST(sum(matches) AS BIGINT) AS written, CAST(sum(tests) AS BIGINT) AS one_search, CAST(sum(2 * tests) AS BIGINT) AS two_searches, CAST(max(CASE WHEN level = 2 THEN matches END) AS BIGINT) AS sorted FROM ({LEVEL_SQL})",
+        lambda ev, ep, unit: measures.level_sizes(ev, ep[0]).agg(F.sum("matches").alias("written"), F.sum("tests").alias("one_search"), F.sum(F.expr("2 * tests")).alias("two_searches"), F.max(F.expr("case when level = 2 then matches end")).alias("sorted")), one)
+counter("cost_branches", f"SELECT level, tests FROM ({LEVEL_SQL})", lambda ev, ep, unit: measures.level_sizes(ev, ep[0]).select("level", "tests"), one)
 counter("cost_padding", f"SELECT level, 64 * seeds AS slots, matches AS used, matches / (64.0 * seeds) AS fill FROM ({LEVEL_SQL})",
         lambda ev, ep, unit: measures.level_sizes(ev, ep[0]).select("level", F.expr("64 * seeds").alias("slots"), F.col("matches").alias("used"), F.expr("matches / cast(64 * seeds as double)").alias("fill")), one)
 DIVERGE_SQL = f"""WITH e AS (SELECT * FROM {EVENTS}), s AS (SELECT t, (row_number() OVER (ORDER BY t) - 1) // 32 AS g FROM e WHERE ty = 'view'),
  m AS (SELECT s.t, g, count(e.t) AS c FROM s LEFT JOIN e ON e.ty = 'click' AND e.t > s.t + 5 * {U} AND e.t <= s.t + 10 * {U} GROUP BY s.t, g)
- SELECT count(*) AS groups, CAST(sum(CASE WHEN lo <> hi THEN 1 ELSE 0 END) AS BIGINT) AS divergent FROM (SELECT g, min(c) AS lo, max(c) AS hi FROM m GROUP BY g)"""
+ SELECT count(*) AS groups, CAST(sum(CASE WHEN lo <> hi THEN 1 ELSE 0 END) AS BIGINT) AS divergent, (SELECT round(max(c) * count(*) / sum(c), 6) FROM m) AS skew FROM (SELECT g, min(c) AS lo, max(c) AS hi FROM m GROUP BY g)"""
 counter("cost_divergence", DIVERGE_SQL, lambda ev, ep, unit: measures.divergence(ev, ep[0]), one)
 add("cost_launches", "SELECT n AS nodes, w AS way, CASE WHEN w = 'unordered' THEN n ELSE 3 * (n - 1) END AS steps FROM range(2, 10) r(n), (VALUES ('unordered'), ('padded'), ('count_scan_write')) v(w)")(
     lambda spark, d: spark.createDataFrame([(n, w, c) for n in range(2, 10) for w, c in measures.launches(n)], "nodes long, way string, steps long")
@@ -321,15 +333,13 @@ add("cost_launches", "SELECT n AS nodes, w AS way, CASE WHEN w = 'unordered' THE
 LADDER_SQL = union([f"SELECT {a} AS num, {b} AS den, count(*) AS n, CAST(coalesce(max(t) - min(t), 0) AS BIGINT) AS span FROM {prefix(EVENTS, a, b)}" for a, b in S.LADDER])
 
 
-def over_ladder(spark: SparkSession, d: str, f: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    out, ev = None, S.events_by_type(spark, d)
-    for a, b in S.LADDER:
-        part = f(S.ladder_prefix(ev, (a, b))).withColumns({"num": F.lit(a), "den": F.lit(b)})
-        out = part if out is None else out.unionByName(part)
-    return out
+def by_step(df: DataFrame) -> DataFrame:
+    """stream_key `num/den` of S.ladder_streams as two numbers."""
+    part = F.split("stream_key", "/")
+    return df.withColumns({"num": F.element_at(part, 1).cast("int"), "den": F.element_at(part, 2).cast("int")}).drop("stream_key")
 
 
-add("dataset_ladder", LADDER_SQL)(lambda spark, d: over_ladder(spark, d, lambda ev: ev.agg(F.sum("mult").alias("n"), F.coalesce(F.max("t") - F.min("t"), F.lit(0)).alias("span"))))
+add("dataset_ladder", LADDER_SQL)(lambda spark, d: by_step(S.ladder_streams(S.events_by_type(spark, d)).groupBy("stream_key").agg(F.sum("mult").alias("n"), (F.max("t") - F.min("t")).alias("span"))))
 WAYS = ("asof", "union", "pruned", "backward", "kernel")
 
 
@@ -342,57 +352,6 @@ def _(spark, d):
     return out
 
 
-# The paper's workloads
-def wide(parts: list[tuple[str, str]]) -> str:
-    return union([f"SELECT {cols}, n FROM ({q})" for cols, q in parts])
-
-
-add("w1_thirty_episodes", THIRTY_SQL)(lambda spark, d: serial.count_episode_parallel(S.events_by_type(spark, d), [gapped(p, 5, 10, S.unit(spark, d)) for p in THIRTY]))
-add("w1_ladder", wide([(f"{a} AS num, {b} AS den, episode_id", union([sql_count(">".join(p), p, [u(5, 10)] * 2, prefix(EVENTS, a, b)) for p in THIRTY[:5]])) for a, b in S.LADDER]))(
-    lambda spark, d: over_ladder(spark, d, lambda ev, unit=S.unit(spark, d): counting.count_nonoverlapping(ev, [gapped(p, 5, 10, unit) for p in THIRTY[:5]]).drop("stream_key"))
-)
-# The whole of W1; w1_ladder and its SQL have the first five episodes of each step.
-add("w1_ladder_thirty", wide([(f"{a} AS num, {b} AS den, episode_id", union([sql_count(">".join(p), p, [u(5, 10)] * 2, prefix(EVENTS, a, b)) for p in THIRTY])) for a, b in S.LADDER]))(
-    lambda spark, d: over_ladder(spark, d, lambda ev, unit=S.unit(spark, d): counting.count_nonoverlapping(ev, [gapped(p, 5, 10, unit) for p in THIRTY]).drop("stream_key"))
-)
-add("w3_ladder", wide([(f"{a} AS num, {b} AS den, episode_id", sql_count(*MAIN, prefix(EVENTS, a, b))) for a, b in S.LADDER]))(
-    lambda spark, d: over_ladder(spark, d, lambda ev, unit=S.unit(spark, d): counting.count_nonoverlapping(ev, one(unit)).drop("stream_key"))
-)
-LENGTH = [(n, lo, hi) for n in range(1, 10) for lo, hi in ((0, 6), (5, 10))]
-cycle = lambda n: [CYCLE[i % 5] for i in range(n)]
-counter("w4_length", union([sql_count(f"{n}:{lo}:{hi}", cycle(n), [u(lo, hi)] * (n - 1)) for n, lo, hi in LENGTH]), lambda ev, ep, unit: counting.count_nonoverlapping(ev, ep, tracking="union"),
-        lambda unit: [Episode.of(*cycle(n), gaps=[(lo * unit, hi * unit)] * (n - 1), episode_id=f"{n}:{lo}:{hi}") for n, lo, hi in LENGTH])
-WIDTHS = (1, 2, 4, 8, 16, 32, 64)
-counter("w5_width", wide([(f"{h} AS width, paths", f"SELECT paths, n FROM ({sql_count(MAIN[0], MAIN[1], [u(0, h)] * 2)}) c JOIN ({sql_paths(MAIN[0], MAIN[1], [u(0, h)] * 2)}) p USING (episode_id)") for h in WIDTHS]),
-        lambda ev, ep, unit: counting.count_nonoverlapping(ev, ep, tracking="union").join(measures.count_overlapped(ev, ep), "episode_id").select(F.col("episode_id").cast("int").alias("width"), "paths", "n"),
-        lambda unit: [Episode.of(*CYCLE[:3], gaps=[(0, h * unit)] * 2, episode_id=str(h)) for h in WIDTHS])
-RARE = {"type": ("view>click>purchase", CYCLE[:3], EVENTS), "band": ("view_0>click_0>purchase_0", ["view_0", "click_0", "purchase_0"], BANDS), "neuron": ("n00>n01>n02", ["n00", "n01", "n02"], NEURONS)}
-add("w5_rarity", union([f"SELECT '{k}' AS symbols, n, paths FROM ({sql_count(name, types, [u(0, 64)] * 2, source)}) JOIN ({sql_paths(name, types, [u(0, 64)] * 2, source)}) USING (episode_id)" for k, (name, types, source) in RARE.items()]))(
-    lambda spark, d: reduce(DataFrame.unionByName, [
-        counting.count_nonoverlapping(ev, ep).join(measures.count_overlapped(ev, ep), "episode_id", "left").select(F.lit(k).alias("symbols"), "n", F.coalesce("paths", F.lit(0)).alias("paths"))
-        for k, source in (("type", S.events_by_type), ("band", S.events_by_type_bucket), ("neuron", S.events_by_neuron))
-        for ev, ep in [(source(spark, d), [gapped(RARE[k][1], 0, 64, S.unit(spark, d))])]
-    ])
-)
-HALF = prefix(EVENTS, 1, 2)
-PROFILE = f"SELECT CAST(sum(matches) AS BIGINT) AS matches, CAST(sum(seeds + matches) AS BIGINT) AS tests FROM ({LEVEL_SQL.replace(EVENTS, HALF)})"
-add("w2_profile", f"SELECT w AS way, CASE WHEN w = 'count_scan_write' THEN 2 ELSE 1 END * tests AS tests, CASE WHEN w = 'unordered' THEN 3 ELSE 6 END AS steps, groups, divergent FROM ({PROFILE}), ({DIVERGE_SQL.replace(EVENTS, HALF)}), (VALUES ('unordered'), ('padded'), ('count_scan_write')) v(w)")(
-    lambda spark, d: measures.profile(S.ladder_prefix(S.events_by_type(spark, d), (1, 2)), one(S.unit(spark, d))[0])
-)
-NEURON_EP = [[f"n{a + i:02d}" for i in range(3)] for a in range(0, 64, 8)]
-add("w7_neurons", union([f"SELECT c.episode_id, stream_key, n, paths FROM ({sql_count('>'.join(p), p, [('0', str(DAY // 2))] * 2, NEURONS)}) c JOIN ({sql_paths('>'.join(p), p, [('0', str(DAY // 2))] * 2, NEURONS)}) q USING (episode_id)" for p in NEURON_EP]))(
-    lambda spark, d: (lambda ev, ep: counting.count_nonoverlapping(ev, ep).join(measures.count_overlapped(ev, ep), "episode_id", "left").select("episode_id", "stream_key", "n", F.coalesce("paths", F.lit(0)).alias("paths")))(
-        S.events_by_neuron(spark, d), [Episode.of(*p, gaps=[(0, DAY // 2)] * 2) for p in NEURON_EP]
-    )
-)
-
-
-@add("w7_generator")
-def _(spark, d):
-    ev, chains = S.spikes(spark, seconds=20)
-    return counting.count_nonoverlapping(ev, [Episode.of(*c, gaps=[(5, 10)] * (len(c) - 1)) for c in chains])
-
-
 # Relational operators around the methods
 def relational(name: str, spark_sql: str, duck: str | None = None) -> None:
     """Spark SQL over temporary views of the tables it names, and the same in DuckDB's words."""
@@ -475,3 +434,6 @@ streamed("stream_dedup", "SELECT DISTINCT event_id FROM events", "append", lambd
 def _(spark, d):
     unit, st = S.unit(spark, d), lambda: online.events_stream(spark, d)
     return online.run_available(online.interval_join(st(), st(), "view", "click", 5 * unit, 10 * unit, "1 day"), "append").groupBy("t_start", "t_end").agg(F.count("*").alias("n"))
+
+
+from . import surroundings, workloads  # noqa: E402, F401  they add their queries to the two tables

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.model import Episode
-from ..plans.planner import choose_strategy
+from ..plans.planner import choose_strategy, default_segment
 from ..plans.storage import written
 from .counting import count_nonoverlapping
 from .serial import count_episode_parallel
@@ -56,11 +56,16 @@ def totals(counts: DataFrame) -> DataFrame:
 
 
 def mine(ev: DataFrame, gaps: list[tuple[int, int | None]], theta: int, max_level: int = 9, counter: str = "auto") -> list[tuple[int, Episode, int]]:
-    """(level, episode, count) of every episode whose count is above theta. One pass over the events for each level."""
+    """(level, episode, count) of every episode whose count is above theta. One pass over the events for each level.
+
+    Events of frequent types are written once, and the segments of all levels have one length, from the longest episode allowed.
+    """
     spark = ev.sparkSession
-    ev = written(ev, "events")
     rows = [(1, Episode(t, (t,), (), ()), n) for t, n in sorted(map(tuple, frequent_types(ev, theta).collect()))]
     out, level = list(rows), 1
+    ev = written(ev.filter(F.col("event_type").isin(*[e.types[0] for _, e, _ in rows])), "events") if rows else ev
+    highs = [b for _, b in gaps]
+    seg_len = default_segment(ev, max(highs) * (max_level - 1)) if rows and None not in highs and max_level > 1 else None
     size = ev.count()
     while rows and level < max_level:
         level += 1
@@ -69,7 +74,7 @@ def mine(ev: DataFrame, gaps: list[tuple[int, int | None]], theta: int, max_leve
         if not cand:
             break
         how = counter if counter != "auto" else choose_strategy(len(cand), level, size, spark.sparkContext.defaultParallelism)
-        counted = count_episode_parallel(ev, cand) if how == "episodes" else count_nonoverlapping(ev, cand)
+        counted = count_episode_parallel(ev, cand) if how == "episodes" else count_nonoverlapping(ev, cand, seg_len=seg_len)
         kept = {r[0]: r[1] for r in totals(counted).filter(F.col("n") > theta).collect()}
         rows = [(level, e, kept[e.episode_id]) for e in cand if e.episode_id in kept]
         out += rows

@@ -6,12 +6,17 @@ passes between them is a small table of boundary states.
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..plans.storage import written
+from ..sources.streams import floor_div
 
 GROUP = ["episode_id", "stream_key"]
 #: Before every time there is.
@@ -96,57 +101,126 @@ def schedule_jump(occ: DataFrame) -> DataFrame:
 
 
 TABLE = "episode_id string, stream_key string, seg long, enter long, leave long, n long"
+#: Neighbouring segments whose tables become one in a task.
+FAN = 128
+
+
+def front(start: np.ndarray, end: np.ndarray, ordered: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """Occurrences that greedy by end can pick, in order: starts rise strictly and ends do not fall. `ordered`: by end already."""
+    if not ordered:
+        order = np.lexsort((-start, end))
+        start, end = start[order], end[order]
+    if not len(start):
+        return start, end
+    top = np.maximum.accumulate(start)
+    keep = np.concatenate([[True], start[1:] > top[:-1]])
+    return start[keep], end[keep]
+
+
+def picks(start: np.ndarray, end: np.ndarray) -> tuple[list[int], list[int]]:
+    """For each occurrence of a front: how many greedy picks from it on, itself included, and the end of the last one."""
+    m = len(start)
+    follow = np.searchsorted(start, end, side="right").tolist()
+    number, last = [1] * m, end.tolist()
+    for i in range(m - 1, -1, -1):
+        if follow[i] < m:
+            number[i] += number[follow[i]]
+            last[i] = last[follow[i]]
+    return number, last
+
+
+def transfer(start: np.ndarray, end: np.ndarray, border: int) -> list[tuple[int, int, int]]:
+    """(enter, leave, n) of a segment that begins at `border`, from the front of the occurrences that end in it.
+
+    A row holds for every entering end from its `enter` up to that of the next row: what matters of an entering end is
+    only how many starts lie after it. With n = 0 the entering end leaves as it came.
+    """
+    enter = [NEVER, *start[start < border].tolist()]
+    number, last = picks(start, end)
+    first = np.searchsorted(start, np.asarray(enter), side="right").tolist()
+    return [(e, last[i], number[i]) if i < len(number) else (e, e, 0) for e, i in zip(enter, first, strict=True)]
 
 
-def transfer_tables(occ: DataFrame, seg_len: int, halo: int) -> DataFrame:
-    """For each segment and each end that the one before may leave in the halo (or NEVER): the end it leaves and its count.
+def through(seg: np.ndarray, enter: np.ndarray, leave: np.ndarray, n: np.ndarray, states: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Lets states pass the tables of several segments, rows in order of (seg, enter): the states that leave, and the picks."""
+    total, edge = np.zeros(len(states), dtype=np.int64), np.flatnonzero(np.concatenate([[True], seg[1:] != seg[:-1], [True]]))
+    for i, j in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+        k = i + np.searchsorted(enter[i:j], states, side="right") - 1
+        states, total = np.where(n[k] > 0, leave[k], states), total + n[k]
+    return states, total
 
-    An occurrence belongs to the segment of its end; an end older than the halo cannot overlap any of them.
-    """
-    seg = F.floor(F.col("t_end") / F.lit(seg_len))
-    best = by_end(occ).withColumn("own", seg)
-    last = F.floor((F.col("t_end") + F.lit(halo)) / F.lit(seg_len))
-    rows = best.withColumn("seg", F.explode(F.sequence("own", last))).select(*GROUP, "seg", "t_start", "t_end", (F.col("seg") == F.col("own")).alias("mine"))
-
-    def table(pdf: pd.DataFrame) -> pd.DataFrame:
-        border = int(pdf["seg"].iat[0]) * seg_len
-        own = sorted(zip(pdf.loc[pdf["mine"], "t_end"], pdf.loc[pdf["mine"], "t_start"], strict=True))
-        out = []
-        for enter in [NEVER, *sorted(e for e in pdf.loc[~pdf["mine"], "t_end"] if e >= border - halo)]:
-            end, n = enter, 0
-            for e, s in own:
-                if s > end:
-                    end, n = e, n + 1
-            out.append((enter, end, n))
-        first = pdf.iloc[0]
-        return pd.DataFrame([(first["episode_id"], first["stream_key"], first["seg"], *r) for r in out], columns=["episode_id", "stream_key", "seg", "enter", "leave", "n"])
-
-    return rows.groupBy(*GROUP, "seg").applyInPandas(table, TABLE)
-
-
-def compose(tables: DataFrame) -> DataFrame:
-    """Joins neighbouring tables, halving the number of segments a round, until one is left for each stream.
-
-    A leaving end that is too old for the right table's halo, or a gap between the segments, enters it as NEVER.
+
+def fold_groups(df: DataFrame, keys: list[str], order: list[str], fold: Callable[[pa.Table], list[tuple]], schema: str) -> DataFrame:
+    """fold(rows of one group, in order) for every group; a partition streams through, so that many small groups cost little.
+
+    A group is held whole: callers see to it that it is small.
     """
-    lowest = tables.agg(F.min("seg")).first()[0] or 0
-    cur = written(tables.withColumn("seg", F.col("seg") - lowest), "transfer")
-    while True:
-        bounds = cur.agg(F.min("seg"), F.max("seg")).first()
-        if bounds[0] is None or bounds[0] == bounds[1]:
-            break
-        left = cur.filter("seg % 2 = 0").select(*GROUP, F.floor(F.col("seg") / 2).alias("up"), "enter", F.col("leave").alias("mid"), F.col("n").alias("ln"))
-        right = cur.filter("seg % 2 != 0").select(*GROUP, F.floor(F.col("seg") / 2).alias("up"), F.col("enter").alias("mid"), F.col("leave").alias("rl"), F.col("n").alias("rn"))
-        known = left.join(right, [*GROUP, "up", "mid"], "left")
-        never = right.filter(F.col("mid") == NEVER).select(*GROUP, "up", F.col("rl").alias("nl"), F.col("rn").alias("nn"))
-        both = known.join(never, [*GROUP, "up"], "left")
-        # Without a right table the left one stands; an unknown end enters as NEVER.
-        merged = both.select(*GROUP, F.col("up").alias("seg"), "enter", F.coalesce("rl", F.when(F.col("nn") > 0, F.col("nl")), "mid").alias("leave"), (F.col("ln") + F.coalesce("rn", "nn", F.lit(0))).alias("n"))
-        alone = right.join(left.select(*GROUP, "up").distinct(), [*GROUP, "up"], "left_anti").select(*GROUP, F.col("up").alias("seg"), F.col("mid").alias("enter"), F.col("rl").alias("leave"), F.col("rn").alias("n"))
-        cur = written(merged.unionByName(alone), "transfer")
-    return cur
-
-
-def schedule_segments(occ: DataFrame, seg_len: int, halo: int) -> DataFrame:
-    done = compose(written(transfer_tables(occ, seg_len, halo), "tables"))
-    return done.filter(F.col("enter") == NEVER).groupBy(*GROUP).agg(F.sum("n").alias("n"))
+    names = [x.split()[0] for x in schema.split(", ")]
+    types = [{"string": pa.string(), "long": pa.int64()}[x.split()[1]] for x in schema.split(", ")]
+
+    def starts(t: pa.Table) -> list[int]:
+        new = np.zeros(t.num_rows, dtype=bool)
+        new[:1] = True
+        for k in keys:
+            c = t.column(k).combine_chunks()
+            c = c.dictionary_encode().indices.to_numpy() if pa.types.is_string(c.type) else c.to_numpy()
+            new[1:] |= c[1:] != c[:-1]
+        return np.flatnonzero(new).tolist()
+
+    def out(t: pa.Table, edge: list[int]) -> pa.RecordBatch:
+        rows = [r for i, j in zip(edge, [*edge[1:], t.num_rows], strict=True) for r in fold(t.slice(i, j - i))]
+        return pa.RecordBatch.from_arrays([pa.array(list(c), ty) for c, ty in zip(zip(*rows, strict=True) if rows else [()] * len(names), types, strict=True)], names)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None
+        for b in batches:
+            if b.num_rows:
+                t = pa.Table.from_batches([b])
+                t = pa.concat_tables([held, t]) if held is not None else t
+                edge = starts(t)
+                if edge[-1]:
+                    yield out(t.slice(0, edge[-1]), edge[:-1])
+                held = t.slice(edge[-1])
+        if held is not None:
+            yield out(held, [0])
+
+    return df.repartition(*keys).sortWithinPartitions(*keys, *order).mapInArrow(run, schema)
+
+
+def _numbers(t: pa.Table) -> list[np.ndarray]:
+    return [t.column(c).to_numpy() for c in ("seg", "enter", "leave", "n")]
+
+
+def transfer_tables(occ: DataFrame, seg_len: int) -> DataFrame:
+    """For each segment the table of what greedy picks in it. An occurrence belongs to the segment of its end."""
+    rows = occ.select(*GROUP, floor_div(F.col("t_end"), seg_len).alias("seg"), "t_start", "t_end")
+
+    def table(t: pa.Table) -> list[tuple]:
+        e, k, seg = (t.column(c)[0].as_py() for c in (*GROUP, "seg"))
+        return [(e, k, seg, *r) for r in transfer(*front(t.column("t_start").to_numpy(), t.column("t_end").to_numpy()), seg * seg_len)]
+
+    return fold_groups(rows, [*GROUP, "seg"], [], table, TABLE)
+
+
+def compose(tables: DataFrame, seg_len: int, fan: int = FAN) -> DataFrame:
+    """One table for each `fan` neighbours: a state for each row that is under the first border of the group."""
+
+    def merged(t: pa.Table) -> list[tuple]:
+        seg, enter, leave, n = _numbers(t)
+        states = np.unique(np.append(enter[enter < int(seg[0]) * seg_len], NEVER))
+        left, total = through(seg, enter, leave, n, states)
+        e, k, up = (t.column(c)[0].as_py() for c in (*GROUP, "up"))
+        return [(e, k, up, *r) for r in zip(states.tolist(), left.tolist(), total.tolist(), strict=True)]
+
+    return fold_groups(tables.withColumn("up", floor_div(F.col("seg"), fan)), [*GROUP, "up"], ["seg", "enter"], merged, TABLE)
+
+
+def total_picks(tables: DataFrame) -> DataFrame:
+    """The count of a whole stream: only the state before every event enters."""
+    total = lambda t: [(*(t.column(c)[0].as_py() for c in GROUP), int(through(*_numbers(t), np.asarray([NEVER]))[1][0]))]
+    return fold_groups(tables, GROUP, ["seg", "enter"], total, "episode_id string, stream_key string, n long")
+
+
+def schedule_segments(occ: DataFrame, seg_len: int) -> DataFrame:
+    """Tables for each segment, one for each FAN neighbours, then one pass over these: no round that depends on the data."""
+    return total_picks(compose(transfer_tables(occ, seg_len), seg_len))

@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+from collections import deque
 from collections.abc import Iterable
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.model import Episode, episode_nodes
+from ..functions.model import Episode
 from .tracking import roles
 
 COUNT = "episode_id string, stream_key string, n long"
@@ -18,7 +19,8 @@ class Machine:
     """Counts occurrences that do not overlap, one instant after another; state is lists of instants by node."""
 
     def __init__(self, e: Episode, evict: bool = False) -> None:
-        self.e, self.evict, self.n, self.last, self.lists = e, evict, 0, None, [[] for _ in e.types]
+        self.tests = 0  # of the gap
+        self.e, self.evict, self.n, self.last, self.lists = e, evict, 0, None, [deque() for _ in e.types]
 
     def feed(self, t: int, types: set[str]) -> bool:
         """All types seen at instant t, which never comes back; true if an occurrence was completed."""
@@ -33,15 +35,22 @@ class Machine:
                 before = self.lists[i - 1]
                 if self.evict and hi is not None:
                     while before and t - before[0] > hi:
-                        before.pop(0)
-                if not any(lo < t - u and (hi is None or t - u <= hi) for u in reversed(before)):
+                        before.popleft()
+                if not self._reached(before, t, lo, hi):
                     continue
             if i == len(e) - 1:
-                self.n, self.last, self.lists = self.n + 1, t, [[] for _ in e.types]
+                self.n, self.last, self.lists = self.n + 1, t, [deque() for _ in e.types]
                 return True
             self.lists[i].append(t)
         return False
 
+    def _reached(self, before: deque, t: int, lo: int, hi: int | None) -> bool:
+        for u in reversed(before):
+            self.tests += 1
+            if lo < t - u:
+                return hi is None or t - u <= hi  # earlier ones are farther off
+        return False
+
 
 def count_instants(e: Episode, instants: Iterable[tuple[int, set[str]]], evict: bool = False) -> int:
     m = Machine(e, evict)
@@ -58,10 +67,10 @@ def instants(t: Iterable[int], types: Iterable[str]) -> list[tuple[int, set[str]
 
 
 def _all_counts(counts: DataFrame, ev: DataFrame, episodes: list[Episode]) -> DataFrame:
-    """With a zero for each episode and stream without an occurrence."""
-    keys = ev.select("stream_key").distinct()
-    every = keys.join(F.broadcast(episode_nodes(ev.sparkSession, episodes).select("episode_id").distinct()), how="cross")
-    return every.join(counts, ["episode_id", "stream_key"], "left").select("episode_id", "stream_key", F.coalesce("n", F.lit(0)).cast("long").alias("n"))
+    """With a zero for each episode and stream without an occurrence: zeros are added, which needs no join."""
+    ids = F.split(F.lit("\x1f".join(e.episode_id for e in episodes)), "\x1f")  # one literal, however many there are
+    zeros = ev.select("stream_key").distinct().select(F.explode(ids).alias("episode_id"), "stream_key", F.lit(0).cast("long").alias("n"))
+    return zeros.unionByName(counts.select("episode_id", "stream_key", "n")).groupBy("episode_id", "stream_key").agg(F.sum("n").alias("n"))
 
 
 def count_serial(ev: DataFrame, episodes: list[Episode], evict: bool = False, workers: int | None = None) -> DataFrame:
@@ -80,8 +89,8 @@ def count_serial(ev: DataFrame, episodes: list[Episode], evict: bool = False, wo
 
 
 def count_episode_parallel(ev: DataFrame, episodes: list[Episode]) -> DataFrame:
-    """A worker for each episode: cores are idle where there are fewer episodes."""
-    return count_serial(ev, episodes, evict=True, workers=len(episodes))
+    """A worker for each episode: cores are idle where there are fewer episodes. Very many share four tasks a core."""
+    return count_serial(ev, episodes, evict=True, workers=min(len(episodes), 4 * ev.sparkSession.sparkContext.defaultParallelism))
 
 
 def count_serial_unconstrained(ev: DataFrame, episodes: list[Episode]) -> DataFrame:

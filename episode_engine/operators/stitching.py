@@ -3,19 +3,21 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from functools import partial
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.model import Episode
+from ..functions.model import Episode, span
 from ..plans.storage import written
-from .scheduling import GROUP, NEVER, schedule_segments
+from ..sources.streams import floor_div, segment
+from .scheduling import FAN, GROUP, NEVER, TABLE, through
+from .segments import count_segments, segment_tables
 from .serial import Machine, _all_counts, instants
-from .tracking import track_window_asof
 
-SUMMARY = "episode_id string, stream_key string, seg long, machine int, first_end long, last_end long, n long"
+SUMMARY = "episode_id string, stream_key string, seg long, machine int, first_end long, prev_end long, last_end long, n long"
+ENDS = ["first_end", "prev_end", "last_end"]
 
 
 def _of_frame(f: Callable[[pd.DataFrame], pd.DataFrame]) -> Callable[[pd.DataFrame], pd.DataFrame]:
@@ -23,28 +25,24 @@ def _of_frame(f: Callable[[pd.DataFrame], pd.DataFrame]) -> Callable[[pd.DataFra
     return lambda pdf: f(pdf)
 
 
-def _around(ev: DataFrame, seg_len: int, left: int, right: int) -> DataFrame:
-    lo, hi = F.floor((F.col("t") - F.lit(right)) / F.lit(seg_len)), F.floor((F.col("t") + F.lit(left)) / F.lit(seg_len))
-    return ev.withColumn("seg", F.explode(F.sequence(lo, hi)))
-
-
 def segment_map(ev: DataFrame, episodes: list[Episode], seg_len: int) -> DataFrame:
     """For each segment one machine more than gaps: machine j starts the sum of j bounds before the left border.
 
-    first_end is its first completion after the left border, last_end the first after the right one, n the completions
-    in (first_end, last_end]. Completions are looked for within two spans after the right border; null: none there.
+    first_end is its first completion after the left border, prev_end the last before the right one, last_end the first after that,
+    n the completions in (first_end, last_end]. Completions are looked for within two spans after the right border; null: none there.
+    All episodes are run in one pass over a segment.
     """
-    out = None
-    for e in episodes:
-        reach = e.span
-        if reach is None:
-            raise ValueError("segment machines need bounded gaps")
-
-        def run(e: Episode, reach: int, pdf: pd.DataFrame) -> pd.DataFrame:
-            seg = int(pdf["seg"].iat[0])
-            left, right, rows, before = seg * seg_len, (seg + 1) * seg_len, [], 0
-            seen = instants(pdf["t"].tolist(), pdf["event_type"].tolist())
-            for j in range(len(e)):
+    reach = span(episodes)
+    if reach is None:
+        raise ValueError("segment machines need bounded gaps")
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        key, seg, rows = pdf["stream_key"].iat[0], int(pdf["seg"].iat[0]), []
+        left, right = seg * seg_len, (seg + 1) * seg_len
+        for e in episodes:
+            own = pdf["event_type"].isin(set(e.types)) & (pdf["t"] >= left - e.span) & (pdf["t"] < right + 2 * e.span)
+            seen, before = instants(pdf.loc[own, "t"].tolist(), pdf.loc[own, "event_type"].tolist()), 0
+            for j in range(len(e) if seen else 0):
                 m, ends = Machine(e, True), []
                 for t, types in seen:
                     if t > left - before - 1 and m.feed(t, types):
@@ -54,95 +52,167 @@ def segment_map(ev: DataFrame, episodes: list[Episode], seg_len: int) -> DataFra
                 inside = [x for x in ends if x >= left]
                 first = inside[0] if inside else None
                 last = inside[-1] if inside and inside[-1] >= right else None
-                rows.append((e.episode_id, pdf["stream_key"].iat[0], seg, j, first, last, max(0, len(inside) - 1)))
+                prev = next((x for x in reversed(inside) if x < right), None)
+                rows.append((e.episode_id, key, seg, j, first, prev, last, max(0, len(inside) - 1)))
                 before += e.high[j] if j < len(e.high) else 0
-            return pd.DataFrame(rows, columns=["episode_id", "stream_key", "seg", "machine", "first_end", "last_end", "n"]).astype({"first_end": "Int64", "last_end": "Int64"})
+        return pd.DataFrame(rows, columns=["episode_id", "stream_key", "seg", "machine", *ENDS, "n"]).astype(dict.fromkeys(ENDS, "Int64"))
+
+    own = ev.filter(F.col("event_type").isin(*sorted({t for e in episodes for t in e.types}))).select("stream_key", "event_type", "t")
+    return segment(own, seg_len, reach, 2 * reach).groupBy("stream_key", "seg").applyInPandas(run, SUMMARY)
+
+
+#: A machine's (first_end, prev_end, last_end, n).
+Run = tuple[int | None, int | None, int | None, int]
 
-        own = ev.filter(F.col("event_type").isin(*set(e.types)))
-        part = _around(own, seg_len, reach, 2 * reach).groupBy("stream_key", "seg").applyInPandas(_of_frame(partial(run, e, reach)), SUMMARY)
-        out = part if out is None else out.unionByName(part)
+
+def follows(first: int | None, last: int | None, border: int, reach: int) -> bool:
+    """Whether a machine whose first completion is `first` goes on where one left with `last` at `border`.
+
+    Without a completion in two spans after the border all machines hold the same events from then on.
+    """
+    return first == last if last is not None else first is None or first >= border + 2 * reach
+
+
+def join_neighbours(left: list[Run], right: list[Run], border: int, reach: int) -> list[Run] | None:
+    """Each machine of the left side with the one of the right side that goes on from its last end; None where one finds none."""
+    out = []
+    for first, prev, last, n in left:
+        met = next((r for r in right if follows(r[0], last, border, reach)), None)
+        if met is None:
+            return None
+        late = last is None and met[0] is not None  # counted by neither side so far
+        out.append((met[0] if first is None else first, prev if met[1] is None else met[1], met[2], n + met[3] + (late and first is not None)))
     return out
 
 
+def _filled(df: DataFrame) -> DataFrame:
+    """Missing ends as NEVER: pandas would turn a column with nulls into floating numbers."""
+    return df.withColumns({c: F.coalesce(c, F.lit(NEVER)) for c in ENDS})
+
+
+def _runs(g: pd.DataFrame) -> list[Run]:
+    return [(*(None if x == NEVER else x for x in row[:3]), row[3]) for row in zip(*(g[x].tolist() for x in (*ENDS, "n")), strict=True)]
+
+
+def segment_concat(summaries: DataFrame, episodes: list[Episode], seg_len: int, fan: int = 128) -> DataFrame:
+    """Neighbours are merged pair by pair, in rounds that halve their number: first those of `fan` segments in a task, then what is left.
+
+    episode_id, stream_key, lo, hi (first and last segment), machine (0, 1, ... of the leftmost segment), and its ends and n.
+    A border that no machine crosses stays open; both sides are then in the result.
+    """
+    reach = {e.episode_id: e.span for e in episodes}
+
+    def merged(pdf: pd.DataFrame) -> pd.DataFrame:
+        e, key = pdf["episode_id"].iat[0], pdf["stream_key"].iat[0]
+        parts = [(_runs(g), int(lo), int(hi)) for (lo, hi), g in pdf.sort_values(["lo", "machine"]).groupby(["lo", "hi"])]
+        joined = True
+        while len(parts) > 1 and joined:
+            nxt, i, joined = [], 0, False
+            while i < len(parts):
+                a, b = parts[i], parts[i + 1] if i + 1 < len(parts) else None
+                both = join_neighbours(a[0], b[0], (a[2] + 1) * seg_len, reach[e]) if b else None
+                nxt.append(a if both is None else (both, a[1], b[2]))
+                joined, i = joined or both is not None, i + (1 if both is None else 2)
+            parts = nxt
+        rows = [(e, key, lo, hi, j, *r) for rs, lo, hi in parts for j, r in enumerate(rs)]
+        return pd.DataFrame(rows, columns=["episode_id", "stream_key", "lo", "hi", "machine", *ENDS, "n"]).astype(dict.fromkeys(ENDS, "Int64"))
+
+    schema = "episode_id string, stream_key string, lo long, hi long, machine int, first_end long, prev_end long, last_end long, n long"
+    cur = summaries.select(*GROUP, F.col("seg").alias("lo"), F.col("seg").alias("hi"), "machine", *ENDS, "n")
+    some = _filled(cur).groupBy(*GROUP, floor_div(F.col("lo"), fan)).applyInPandas(_of_frame(merged), schema)
+    return _filled(some).groupBy(*GROUP).applyInPandas(_of_frame(merged), schema)
+
+
+def cross_open_borders(parts: list[tuple[list[Run], int, int]], tables: list[np.ndarray], seg_len: int, reach: int) -> tuple[int, int]:
+    """The count of a stream from merged parts in order, and how many of them exact tables had to count.
+
+    tables: seg, enter, leave, n, first (end of the first pick) of the parts after the first one, in order. Machines go on
+    after such a part as soon as one has the first pick as its first end.
+    """
+    n, fell, last, prev, state = 0, 0, None, None, None  # a state: exact tables hold the count
+    for k, (runs, lo, hi) in enumerate(parts):
+        run, border = None, lo * seg_len
+        if k == 0:  # nothing was counted before: the machine that starts first has seen all there is
+            run, late = runs[-1], True
+        elif state is None:
+            run, late = next((r for r in runs if follows(r[0], last, border, reach)), None), last is None
+        if run is None:
+            i, j = np.searchsorted(tables[0], lo), np.searchsorted(tables[0], hi, side="right")
+            seg, enter, leave, number, first = (x[i:j] for x in tables)
+            if state is None:
+                n, state = n - (last is not None), NEVER if prev is None else prev
+            elif len(seg):
+                at = np.searchsorted(enter[seg == seg[0]], state, side="right") - 1
+                run, late = (next((r for r in runs if r[0] == first[at]), None) if number[at] else None), True
+        if run is not None:
+            n, last, prev, state = n + run[3] + (late and run[0] is not None), run[2], prev if run[1] is None else run[1], None
+        else:
+            out, total = through(seg, enter, leave, number, np.asarray([state]))
+            n, state, fell = n + int(total[0]), int(out[0]), fell + 1
+    return n, fell
+
+
+def machine_counts(ev: DataFrame, episodes: list[Episode], seg_len: int) -> DataFrame:
+    """episode_id, stream_key, n, by_tables: counts by machines, and how many parts exact tables had to count as no machine crossed the border before them."""
+    parts = written(segment_concat(segment_map(ev, episodes, seg_len), episodes, seg_len), "parts")
+    first = parts.groupBy(*GROUP).agg(F.min("lo").alias("least"))
+    after = written(parts.join(first, GROUP).filter("lo > least").select(*GROUP, "lo", "hi").distinct(), "after")
+    reach = {e.episode_id: e.span for e in episodes}
+    rows = parts.select(*GROUP, "lo", "hi", "machine", *ENDS, "n")
+    if not after.isEmpty():
+        tables = segment_tables(ev, episodes, seg_len, first=True).join(after, GROUP).filter("seg between lo and hi")
+        rows = rows.unionByName(tables.select(*GROUP, F.col("seg").alias("lo"), F.col("seg").alias("hi"), F.lit(-1).alias("machine"), F.col("enter").alias("first_end"), F.col("leave").alias("prev_end"), F.col("first").alias("last_end"), "n"))
+
+    def total(pdf: pd.DataFrame) -> pd.DataFrame:
+        exact = pdf[pdf["machine"] < 0].sort_values(["lo", "first_end"])
+        tables = [exact[c].to_numpy(dtype=np.int64) for c in ("lo", "first_end", "prev_end", "n", "last_end")]
+        own = [(_runs(g), int(lo), int(hi)) for (lo, hi), g in pdf[pdf["machine"] >= 0].sort_values(["lo", "machine"]).groupby(["lo", "hi"])]
+        n, fell = cross_open_borders(own, tables, seg_len, reach[pdf["episode_id"].iat[0]])
+        return pd.DataFrame({"episode_id": [pdf["episode_id"].iat[0]], "stream_key": [pdf["stream_key"].iat[0]], "n": [n], "by_tables": [fell]})
+
+    return _filled(rows).groupBy(*GROUP).applyInPandas(_of_frame(total), "episode_id string, stream_key string, n long, by_tables long")
+
+
 def count_segment_machines(ev: DataFrame, episodes: list[Episode], seg_len: int) -> DataFrame:
-    """Stitches machines whose boundary ends agree; a stream where a border has none falls back on exact tables."""
-    summary = segment_map(ev, episodes, seg_len)
-
-    def stitch(pdf: pd.DataFrame) -> pd.DataFrame:
-        by_seg = {s: g for s, g in pdf.groupby("seg")}
-        segs = sorted(by_seg)
-        n, end, ok = 0, None, True
-        for k, s in enumerate(segs):
-            g = by_seg[s]
-            if k == 0:  # nothing was counted before: the machine that starts first has seen all there is
-                row = g.sort_values("machine").iloc[-1]
-                n = 0 if pd.isna(row["first_end"]) else int(row["n"]) + 1
-            else:
-                same = g[g["first_end"] == end] if end is not None else g[g["first_end"].isna()]
-                if not len(same):
-                    ok = False
-                    break
-                row = same.iloc[0]
-                n += int(row["n"])
-            end = None if pd.isna(row["last_end"]) else int(row["last_end"])
-        return pd.DataFrame({"episode_id": [pdf["episode_id"].iat[0]], "stream_key": [pdf["stream_key"].iat[0]], "n": [n if ok else None]}).astype({"n": "Int64"})
-
-    done = written(summary.groupBy(*GROUP).applyInPandas(stitch, "episode_id string, stream_key string, n long"), "stitched")
-    failed = [r[0] for r in done.filter("n is null").select("episode_id").distinct().collect()]
-    if failed:
-        exact = count_segment_exact(ev, [e for e in episodes if e.episode_id in failed], seg_len)
-        done = done.join(exact.withColumnRenamed("n", "m"), GROUP, "left").select(*GROUP, F.coalesce("n", "m").alias("n"))
-    return _all_counts(done, ev, episodes)
+    return _all_counts(machine_counts(ev, episodes, seg_len), ev, episodes)
 
 
 def count_segment_exact(ev: DataFrame, episodes: list[Episode], seg_len: int) -> DataFrame:
     """For every end that may enter a segment: the end that leaves it and the count. Right for any length of segments."""
-    out = None
-    for e in episodes:
-        part = schedule_segments(track_window_asof(ev, [e], max(seg_len, e.span or seg_len)), seg_len, e.span or 0) if e.span is not None else None
-        if part is None:
-            raise ValueError("exact tables need bounded gaps; see count_segment_unconstrained")
-        out = part if out is None else out.unionByName(part)
-    return _all_counts(out, ev, episodes)
+    return _all_counts(count_segments(ev, episodes, seg_len), ev, episodes)
 
 
 def count_segment_unconstrained(ev: DataFrame, episodes: list[Episode], seg_len: int) -> DataFrame:
     """Without bounds the state is how many nodes are matched: a table of N rows for each segment, no halo."""
-    out = None
-    for e in episodes:
 
-        def table(e: Episode, pdf: pd.DataFrame) -> pd.DataFrame:
-            seen, rows = instants(pdf["t"].tolist(), pdf["event_type"].tolist()), []
-            for state in range(len(e)):
+    def table(pdf: pd.DataFrame) -> pd.DataFrame:
+        rows, key, seg = [], pdf["stream_key"].iat[0], pdf["seg"].iat[0]
+        for e in episodes:
+            own = pdf["event_type"].isin(set(e.types))
+            seen = instants(pdf.loc[own, "t"].tolist(), pdf.loc[own, "event_type"].tolist())
+            for state in range(len(e) if seen else 0):
                 at, n = state, 0
                 for _, types in seen:
                     if e.types[at] in types:
                         at += 1
                         if at == len(e):
                             at, n = 0, n + 1
-                rows.append((e.episode_id, pdf["stream_key"].iat[0], pdf["seg"].iat[0], state or NEVER, at or NEVER, n))
-            return pd.DataFrame(rows, columns=["episode_id", "stream_key", "seg", "enter", "leave", "n"])
-
-        own = ev.filter(F.col("event_type").isin(*set(e.types))).withColumn("seg", F.floor(F.col("t") / F.lit(seg_len)))
-        tables = own.groupBy("stream_key", "seg").applyInPandas(_of_frame(partial(table, e)), "episode_id string, stream_key string, seg long, enter long, leave long, n long")
-        part = _compose_states(tables)
-        out = part if out is None else out.unionByName(part)
-    return _all_counts(out, ev, episodes)
-
-
-def _compose_states(tables: DataFrame) -> DataFrame:
-    cur = written(tables, "states")
-    lowest = cur.agg(F.min("seg")).first()[0] or 0
-    cur = cur.withColumn("seg", F.col("seg") - lowest)
-    while True:
-        lo, hi = cur.agg(F.min("seg"), F.max("seg")).first()
-        if lo is None or lo == hi:
-            break
-        left = cur.filter("seg % 2 = 0").select(*GROUP, F.floor(F.col("seg") / 2).alias("up"), "enter", F.col("leave").alias("mid"), F.col("n").alias("ln"))
-        right = cur.filter("seg % 2 != 0").select(*GROUP, F.floor(F.col("seg") / 2).alias("up"), F.col("enter").alias("mid"), F.col("leave").alias("rl"), F.col("n").alias("rn"))
-        both = left.join(right, [*GROUP, "up", "mid"], "left").select(*GROUP, F.col("up").alias("seg"), "enter", F.coalesce("rl", "mid").alias("leave"), (F.col("ln") + F.coalesce("rn", F.lit(0))).alias("n"))
-        alone = right.join(left.select(*GROUP, "up").distinct(), [*GROUP, "up"], "left_anti").select(*GROUP, F.col("up").alias("seg"), F.col("mid").alias("enter"), F.col("rl").alias("leave"), F.col("rn").alias("n"))
-        cur = written(both.unionByName(alone), "states")
-    return cur.filter(F.col("enter") == NEVER).select(*GROUP, "n")
-
-
+                rows.append((e.episode_id, key, seg, state, at, n))
+        return pd.DataFrame(rows, columns=["episode_id", "stream_key", "seg", "enter", "leave", "n"])
+
+    def merged(pdf: pd.DataFrame) -> pd.DataFrame:
+        """Tables of neighbours, one after the other: N states pass them all."""
+        own = pdf.sort_values(["seg", "enter"])
+        states = np.arange(int(own["enter"].max()) + 1)
+        at, total = states.copy(), np.zeros(len(states), dtype=np.int64)
+        for _, g in own.groupby("seg"):
+            leave, n = g["leave"].to_numpy(), g["n"].to_numpy()
+            total, at = total + n[at], leave[at]
+        first = own.iloc[0]
+        return pd.DataFrame({"episode_id": first["episode_id"], "stream_key": first["stream_key"], "seg": first["up"], "enter": states, "leave": at, "n": total})
+
+    own = ev.filter(F.col("event_type").isin(*sorted({t for e in episodes for t in e.types}))).withColumn("seg", floor_div(F.col("t"), seg_len))
+    cur = own.groupBy("stream_key", "seg").applyInPandas(_of_frame(table), TABLE)
+    for up in (floor_div(F.col("seg"), FAN), F.lit(0).cast("long")):
+        cur = cur.withColumn("up", up).groupBy(*GROUP, "up").applyInPandas(_of_frame(merged), TABLE)
+    return _all_counts(cur.filter("enter = 0").select(*GROUP, "n"), ev, episodes)

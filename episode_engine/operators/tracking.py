@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..functions.model import Episode, expand_roles, gap_ok, span
+from ..functions.model import Episode, episode_nodes, expand_roles, gap_ok, span
 from ..sources.streams import segment
 
 KEY = ["episode_id", "stream_key", "seg"]
@@ -35,17 +35,21 @@ def _owned(rows: DataFrame, n: Column | None = None) -> DataFrame:
     return rows.filter(~F.col("is_halo")).select(*OUT, *[c for c in rows.columns if c in ("paths", "path")])
 
 
-def _pairs(left: DataFrame, right: DataFrame) -> DataFrame:
-    """left (t_end) meets right (t) where right's gap allows: buckets as wide as the bound, two for each left row.
+def _pairs(left: DataFrame, right: DataFrame, episodes: list[Episode], i: int, tested: bool = False) -> DataFrame:
+    """left (t_end) meets node i (t) of the episodes where the gap allows: buckets as wide as the bound, two for each left row.
 
-    The width is the row's own bound, so that episodes with different gaps meet in one join.
+    With `tested` all rows that meet in a bucket are kept, and `met` says which pass the gap. The width is the row's own bound, so that episodes with different gaps meet in one join.
     """
-    r = right.withColumn("bucket", F.when(F.col("high").isNull(), 0).otherwise(F.floor(F.col("t") / F.col("high"))))
-    bounds = F.broadcast(right.select("episode_id", F.col("low").alias("_l"), F.col("high").alias("_h")).distinct())
-    lo, hi = F.floor((F.col("t_end") + F.col("_l") + 1) / F.col("_h")), F.floor((F.col("t_end") + F.col("_h")) / F.col("_h"))
+    down = lambda x, y: F.call_function("div", x - F.pmod(x, y), y)
+    r = right.withColumn("bucket", F.when(F.col("high").isNull(), F.lit(0).cast("long")).otherwise(down(F.col("t"), F.col("high"))))
+    nodes = episode_nodes(left.sparkSession, episodes).filter(F.col("pos") == i)
+    bounds = F.broadcast(nodes.select("episode_id", F.col("low").alias("_l"), F.col("high").alias("_h")))
+    lo, hi = down(F.col("t_end") + F.col("_l") + 1, F.col("_h")), down(F.col("t_end") + F.col("_h"), F.col("_h"))
     buckets = F.when(F.col("_h").isNull(), F.array(F.lit(0).cast("long"))).otherwise(F.sequence(lo, hi))
     x = left.join(bounds, "episode_id").withColumn("bucket", F.explode(buckets)).drop("_l", "_h", "is_halo", "mult")
-    return x.join(r.drop("event_type", "pos", "n"), [*KEY, "bucket"]).filter(gap_ok(F.col("t") - F.col("t_end"), F.col("low"), F.col("high")))
+    both = x.join(r.drop("event_type", "pos", "n"), [*KEY, "bucket"])
+    ok = gap_ok(F.col("t") - F.col("t_end"), F.col("low"), F.col("high"))
+    return both.withColumn("met", ok) if tested else both.filter(ok)
 
 
 def _by_length(found, ev: DataFrame, episodes: list[Episode], seg_len: int | None, **more) -> DataFrame:
@@ -56,11 +60,14 @@ def _by_length(found, ev: DataFrame, episodes: list[Episode], seg_len: int | Non
     return out
 
 
-def _forward(rows: DataFrame, n: int, _: list[Episode], pruned: bool, with_path: bool = False) -> DataFrame:
+def _forward(rows: DataFrame, n: int, own: list[Episode], pruned: bool, with_path: bool = False, max_matches: int | None = None) -> DataFrame:
     at = lambda i: rows.filter(F.col("pos") == i)
     cur = at(0).select(*KEY, "is_halo", F.col("t").alias("t_start"), F.col("t").alias("t_end"), F.col("mult").cast("decimal(38,0)").alias("paths"), *([F.array("t").alias("path")] if with_path else []))
     for i in range(1, n):
-        m = _pairs(cur, at(i))
+        m = _pairs(cur, at(i), own, i)
+        if max_matches:  # the earliest next events of each producer only
+            by = W.partitionBy(*KEY, "t_start", "t_end", *(["path"] if with_path else [])).orderBy("t")
+            m = m.withColumn("_k", F.dense_rank().over(by)).filter(F.col("_k") <= max_matches).drop("_k")
         if pruned:
             cur = m.groupBy(*KEY, "t").agg(F.max("t_start").alias("t_start"), F.sum(F.col("paths") * F.col("mult")).cast("decimal(38,0)").alias("paths"), F.first("is_halo").alias("is_halo")).withColumnRenamed("t", "t_end")
         else:
@@ -68,9 +75,12 @@ def _forward(rows: DataFrame, n: int, _: list[Episode], pruned: bool, with_path:
     return _owned(cur)
 
 
-def track_forward_all(ev: DataFrame, episodes: list[Episode], seg_len: int | None = None, with_path: bool = False) -> DataFrame:
-    """Every tuple of events that matches, one level after the other."""
-    return _by_length(_forward, ev, episodes, seg_len, pruned=False, with_path=with_path)
+def track_forward_all(ev: DataFrame, episodes: list[Episode], seg_len: int | None = None, with_path: bool = False, max_matches: int | None = None) -> DataFrame:
+    """Every tuple of events that matches, one level after the other.
+
+    With max_matches each producer keeps its earliest next events only: then counts are a lower bound.
+    """
+    return _by_length(_forward, ev, episodes, seg_len, pruned=False, with_path=with_path, max_matches=max_matches)
 
 
 def track_forward_pruned(ev: DataFrame, episodes: list[Episode], seg_len: int | None = None) -> DataFrame:
@@ -133,11 +143,11 @@ def track_union_asof(ev: DataFrame, episodes: list[Episode], seg_len: int | None
     return _by_length(_union_asof, ev, episodes, seg_len)
 
 
-def track_backward(ev: DataFrame, episodes: list[Episode], seg_len: int | None = None) -> DataFrame:
-    """From the last type to the first: for each start the earliest end. Time is turned round, so that levels stay as-of windows."""
+def track_backward(ev: DataFrame, episodes: list[Episode], seg_len: int | None = None, pruned: bool = True) -> DataFrame:
+    """From the last type to the first: for each start the earliest end, or every match. Time is turned round, so that levels stay as-of windows."""
     turned = ev.withColumn("t", -F.col("t"))
     back = [e.reversed() for e in episodes]
-    found = track_union_asof(turned, back, seg_len)
+    found = track_union_asof(turned, back, seg_len) if pruned else track_forward_all(turned, back, seg_len)
     return found.select("episode_id", "stream_key", "seg", (-F.col("t_end")).alias("t_start"), (-F.col("t_start")).alias("t_end"))
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -9,10 +11,18 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_place(spark: SparkSession) -> str:
-    """spark.checkpoint.dir, or a temporary folder where none is set."""
+    """spark.checkpoint.dir, or the folder given to setCheckpointDir; a temporary one in local mode only."""
     place = spark.conf.get("spark.checkpoint.dir", None) or getattr(spark, "_episode_dir", None)
     if not place:
-        place = spark._episode_dir = tempfile.mkdtemp(prefix="episodes-")
+        set_ = spark.sparkContext._jsc.sc().getCheckpointDir()
+        if set_.isDefined():
+            place = set_.get()
+        elif spark.sparkContext.master.startswith("local") and not spark.sparkContext.master.startswith("local-cluster"):
+            place = tempfile.mkdtemp(prefix="episodes-")
+            atexit.register(shutil.rmtree, place, ignore_errors=True)
+        else:
+            raise RuntimeError("spark.checkpoint.dir has to name a folder that the driver and all executors share")
+        spark._episode_dir = place
     return place.rstrip("/")
 
 
@@ -21,4 +31,14 @@ def written(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_place(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._written_path = path
+    return out
+
+
+def discard(*frames: DataFrame) -> None:
+    """Delete written() frames that nothing reads any more."""
+    for df in frames:
+        if path := getattr(df, "_written_path", None):
+            place = df.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+            place.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(place, True)

@@ -22,17 +22,21 @@ def micros(ts: Column) -> Column:
     return F.timestamp_diff("MICROSECOND", F.to_timestamp_ntz(F.lit("1970-01-01 00:00:00")), ts.cast("timestamp_ntz"))
 
 
-def as_event_stream(df: DataFrame, type_col: str | Column, time_col: str | Column, key_cols: str | Column | None = None, micro: bool = True) -> DataFrame:
-    """Rows without type or time are left out; rows that agree in key, type and time become one with their number."""
+def as_event_stream(df: DataFrame, type_col: str | Column, time_col: str | Column, key_cols: str | Column | None = None, micro: bool = True, merge: bool = True) -> DataFrame:
+    """Rows without type or time are left out; rows that agree in key, type and time become one with their number.
+
+    merge=False spares the shuffle for counters that read instants as a set: every row stays, with the number 1.
+    """
     col = lambda c: F.col(c) if isinstance(c, str) else c
     key = F.lit("all") if key_cols is None else col(key_cols).cast("string")
     t = micros(col(time_col)) if micro else col(time_col).cast("long")
     rows = df.select(key.alias("stream_key"), col(type_col).cast("string").alias("event_type"), t.alias("t"))
-    return rows.filter("stream_key is not null and event_type is not null and t is not null").groupBy("stream_key", "event_type", "t").agg(F.count("*").alias("mult"))
+    rows = rows.filter("stream_key is not null and event_type is not null and t is not null")
+    return rows.groupBy("stream_key", "event_type", "t").agg(F.count("*").alias("mult")) if merge else rows.withColumn("mult", F.lit(1).cast("long"))
 
 
-def events_by_type(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return as_event_stream(table(spark, sf_dir, "events"), "event_type", "ts")
+def events_by_type(spark: SparkSession, sf_dir: str, merge: bool = True) -> DataFrame:
+    return as_event_stream(table(spark, sf_dir, "events"), "event_type", "ts", merge=merge)
 
 
 def events_by_neuron(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -91,6 +95,31 @@ def ladder_prefix(ev: DataFrame, part: tuple[int, int]) -> DataFrame:
     return ev.filter(F.col("t") < ORIGIN + DAYS * DAY * part[0] // part[1])
 
 
+def ladder_streams(ev: DataFrame, steps: tuple[tuple[int, int], ...] = LADDER) -> DataFrame:
+    """All prefixes as streams of their own in one plan: stream_key becomes `num/den`. For a source of one stream."""
+    names = F.array(*[F.when(F.col("t") < ORIGIN + DAYS * DAY * a // b, F.lit(f"{a}/{b}")) for a, b in steps])
+    return ev.withColumn("stream_key", F.explode(F.filter(names, lambda x: x.isNotNull())))
+
+
+def lineitem_per_supplier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Regions that a supplier's items come from, by a star join; dimensions are small beside the items and Spark sizes them itself."""
+    t = lambda name: table(spark, sf_dir, name)
+    rows = t("lineitem").join(t("supplier"), F.expr("l_suppkey = s_suppkey")).join(t("nation"), F.expr("s_nationkey = n_nationkey")).join(t("region"), F.expr("n_regionkey = r_regionkey"))
+    return as_event_stream(rows, F.concat_ws("_", "r_name", "l_returnflag"), "l_shipdate", "l_suppkey")
+
+
+def part_types(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = table(spark, sf_dir, "lineitem").join(table(spark, sf_dir, "part"), F.expr("l_partkey = p_partkey"))
+    return as_event_stream(rows, "p_brand", "l_shipdate")
+
+
+def benchmark_passages(spark: SparkSession, sf_dir: str, n: int = 5) -> list[tuple[str, ...]]:
+    """The first n words of each benchmark item, as episodes of adjacent words; there are few items."""
+    word = F.filter(F.split(F.lower("text"), r"[^\p{L}\p{N}]+"), lambda w: w != "")
+    rows = table(spark, sf_dir, "benchmark").select("item_id", F.slice(word, 1, n).alias("w")).filter(F.size("w") == n)
+    return [tuple(r["w"]) for r in rows.orderBy("item_id").collect()]
+
+
 def order_violations(df: DataFrame, by: str, t: str = "t", key: str = "stream_key") -> DataFrame:
     """Rows whose time is before that of the row before them in the order of `by`."""
     before = F.lag(t).over(W.partitionBy(key).orderBy(by))
@@ -101,16 +130,34 @@ def alphabet(ev: DataFrame) -> DataFrame:
     return ev.groupBy("event_type").agg(F.sum("mult").alias("n"), F.count("*").alias("instants"))
 
 
-def position_index(ev: DataFrame) -> DataFrame:
-    """Each type's events, numbered in order of time."""
-    return ev.withColumn("pos", F.row_number().over(W.partitionBy("stream_key", "event_type").orderBy("t")).cast("long"))
+def position_index(ev: DataFrame, seg_len: int | None = None) -> DataFrame:
+    """Each type's events, numbered in order of time.
+
+    With seg_len in two levels: numbers inside a segment, plus the events of the segments before, so that no task holds all of a type.
+    """
+    by = ["stream_key", "event_type"]
+    if seg_len is None:
+        return ev.withColumn("pos", F.row_number().over(W.partitionBy(*by).orderBy("t")).cast("long"))
+    cut = ev.withColumn("seg", floor_div(F.col("t"), seg_len))
+    sizes = cut.groupBy(*by, "seg").agg(F.count("*").alias("n"))
+    before = sizes.select(*by, "seg", F.coalesce(F.sum("n").over(W.partitionBy(*by).orderBy("seg").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("before"))
+    local = cut.withColumn("pos", F.row_number().over(W.partitionBy(*by, "seg").orderBy("t")))
+    return local.join(before, [*by, "seg"]).withColumn("pos", (F.col("pos") + F.col("before")).cast("long")).drop("seg", "before")
+
+
+def floor_div(a: Column, b: int) -> Column:
+    """a / b in whole numbers, rounded down, also for a under zero and far beyond 2^53."""
+    return F.call_function("div", a - F.pmod(a, F.lit(b).cast("long")), F.lit(b).cast("long"))
 
 
-def segment(ev: DataFrame, seg_len: int, halo: int) -> DataFrame:
-    """Each event in its segment, and as halo in every later one that begins within `halo` after it."""
-    own = F.expr(f"t div {seg_len} - case when t < 0 and t % {seg_len} != 0 then 1 else 0 end")
-    last = F.expr(f"(t + {halo}) div {seg_len} - case when t + {halo} < 0 and (t + {halo}) % {seg_len} != 0 then 1 else 0 end")
-    rows = ev.withColumn("own", own).withColumn("seg", F.explode(F.sequence(F.col("own"), last)))
+def segment(ev: DataFrame, seg_len: int, halo: int, ahead: int = 0) -> DataFrame:
+    """Each event in its segment, and as halo in every later one that begins within `halo` after it.
+
+    With `ahead` also in those before it that end less than that before it.
+    """
+    rows = ev.withColumn("own", floor_div(F.col("t"), seg_len))
+    first = F.col("own") if not ahead else floor_div(F.col("t") - ahead, seg_len)
+    rows = rows.withColumn("seg", F.explode(F.sequence(first, floor_div(F.col("t") + halo, seg_len))))
     return rows.withColumn("is_halo", F.col("seg") != F.col("own")).drop("own")
 
 

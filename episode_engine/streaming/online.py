@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import json
 import uuid
+from collections import deque
 from collections.abc import Iterator
 
 import pandas as pd
@@ -41,7 +42,7 @@ def _load(raw: str | None, e: Episode) -> tuple[Machine, list, int, int]:
     if raw is None:
         return m, [], -(1 << 62), 0
     got = json.loads(raw)
-    m.n, m.last, m.lists = got["n"], got["last"], got["lists"]
+    m.n, m.last, m.lists = got["n"], got["last"], [deque(x) for x in got["lists"]]
     return m, got["waiting"], got["front"], got["late"]
 
 
@@ -72,7 +73,7 @@ def online_count(stream: DataFrame, episodes: list[Episode], delay: str) -> Data
         passed = max(front, 1000 * mark) if mark > 0 else front
         feed(m, [w for w in waiting if w[0] < passed])
         waiting = sorted({(t, ty) for t, ty in waiting if t >= passed})
-        kept = json.dumps({"n": m.n, "last": m.last, "lists": m.lists, "waiting": waiting, "front": passed, "late": late})
+        kept = json.dumps({"n": m.n, "last": m.last, "lists": [list(x) for x in m.lists], "waiting": waiting, "front": passed, "late": late})
         state.update((kept,))
         if waiting:  # settles in time even where no event of this stream follows
             state.setTimeoutTimestamp(max(waiting[-1][0] // 1000 + 1, mark + 1))

@@ -1,16 +1,54 @@
-"""Workloads of the catalog that have to be whole: every episode on every step, against the serial counter."""
+"""Workloads of the catalog that have to be whole: every episode on every step and by every counter, against the serial one."""
 
-from episode_engine import catalog
+from collections import defaultdict
+
+from episode_engine import catalog, workloads
+from episode_engine.functions.model import Episode
 from episode_engine.operators import serial
 from episode_engine.sources import streams as S
 
 SF = "/root/testdata/sf0.001"
 
 
-def test_ladder_has_thirty_episodes_on_each_step(spark):
-    got = {(r.num, r.den, r.episode_id): r.n for r in catalog.QUERIES["w1_ladder_thirty"](spark, SF).collect()}
+def test_every_counter_on_every_step_of_the_ladder(spark):
     unit, ev, want = S.unit(spark, SF), S.events_by_type(spark, SF).cache(), {}
     for a, b in S.LADDER:
         counted = serial.count_serial(S.ladder_prefix(ev, (a, b)), [catalog.gapped(p, 5, 10, unit) for p in catalog.THIRTY])
         want |= {(a, b, r.episode_id): r.n for r in counted.collect()}
-    assert len(want) == 240 and got == want
+    assert len(want) == 240
+    got = defaultdict(dict)
+    for r in catalog.QUERIES["w1_methods"](spark, SF).collect():
+        got[r.method][r.num, r.den, r.episode_id] = r.n
+    assert set(got) == set(workloads.COUNTERS) and all(x == want for x in got.values())
+    assert {(r.num, r.den, r.episode_id): r.n for r in catalog.QUERIES["w1_ladder"](spark, SF).collect()} == want
+
+
+def test_planted_chains_are_mined(spark):
+    found, chains = workloads.mine_planted(spark, 10)
+    assert {tuple(c) for c in chains} <= set(found)
+
+
+def test_phrases_by_hand(spark):
+    got = {r.phrase: (r.documents, r.n) for r in catalog.QUERIES["count_phrases"](spark, SF).collect()}
+    phrases = set(S.benchmark_passages(spark, SF, workloads.PHRASE_WORDS))
+    want = defaultdict(lambda: [0, 0])
+    import re
+
+    for (text,) in S.table(spark, SF, "documents").select("text").collect():
+        w = re.split(r"[\W_]+", (text or "").lower())
+        for p in phrases:
+            n, free = 0, 0
+            for i in range(len(w) - len(p) + 1):
+                if i >= free and tuple(w[i : i + len(p)]) == p:
+                    n, free = n + 1, i + len(p)
+            if n:
+                want[" ".join(p)][0] += 1
+                want[" ".join(p)][1] += n
+    assert got == {k: tuple(v) for k, v in want.items()}
+
+
+def test_machine_profile_counts_tests(spark):
+    rows = {r.way: r for r in catalog.QUERIES["w2_machines"](spark, SF).collect()}
+    assert rows["count_scan_write"].branches == 2 * rows["unordered"].branches > 0
+    assert rows["padded"].instructions > rows["unordered"].instructions
+    assert rows["segment_machines"].branches > 0 and Episode.of("A")
