@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import atexit
 import gc
+import shutil
 import tempfile
 import uuid
 import zlib
@@ -51,14 +53,26 @@ def py_crc_mod(doc_id: int, n: int) -> int:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster names in spark.checkpoint.dir; a temporary one where none is set."""
-    found = spark.conf.get("spark.checkpoint.dir", None)
+    """The folder that the cluster names in spark.checkpoint.dir, or by setCheckpointDir; a temporary one in local mode only."""
+    found = spark.conf.get("spark.checkpoint.dir", None) or getattr(spark, "_own_shared_dir", None)
     if not found:
-        found = getattr(spark, "_own_shared_dir", None) or tempfile.mkdtemp(prefix="shared-")
+        given, master = spark.sparkContext._jsc.sc().getCheckpointDir(), spark.sparkContext.master
+        if given.isDefined():
+            found = given.get()
+        elif master.startswith("local") and not master.startswith("local-cluster"):
+            found = tempfile.mkdtemp(prefix="shared-")
+            atexit.register(shutil.rmtree, found, ignore_errors=True)
+        else:
+            raise RuntimeError("spark.checkpoint.dir has to name a folder that the driver and all executors share")
         spark._own_shared_dir = found
     return found.rstrip("/")
 
 
+def drawn(df: DataFrame, wanted: int, rows: int) -> DataFrame:
+    """Of `rows` rows about `wanted`, by chance: nothing is sorted, and executors send no more than what is wanted in all. For range borders."""
+    return df if rows <= wanted else df.filter(F.rand(11) < wanted / rows)
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """df as Parquet in the shared folder, read again: lineage is cut, and a lost executor loses nothing."""
     spark = df.sparkSession
