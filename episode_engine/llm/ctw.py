@@ -414,7 +414,15 @@ def score(docs: DataFrame, learned: int = 7, held: int = 2, depth: int = DEPTH,
     training = own.filter(crc_mod(F.col("doc_id"), learned) != held)
     counts = written(word_counts(training), "words")
     total, distinct = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-    top = counts.orderBy(F.desc("n"), "word").limit(FREQUENT).toArrow()
+    # Words from a count on, of which there are FREQUENT at most; octaves in sixteen steps, so that the driver sees a short histogram.
+    octave = F.floor(16 * F.log2("n"))
+    steps, least, number = sorted(((r[0], r[1]) for r in counts.groupBy(octave.alias("o")).count().collect()), reverse=True), None, 0
+    for o, k in steps:
+        number += k
+        if number > FREQUENT:
+            break
+        least = o
+    top = counts.filter(octave >= least if least is not None else F.lit(False)).toArrow()
     frequent = spark.sparkContext.broadcast(dict(zip(top.column("word").to_pylist(), top.column("n").to_pylist(), strict=True)))
     made, k0, v0 = learned_table(training, depth)
     all_ = float(total + distinct + 1)
