@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .anchors import anchor_runs
-from .common import discard, let_go, partitions, written
+from .common import discard, drawn, let_go, partitions, written
 
 GRAM = 16
 BLOCK_BYTES = 4_000_000
@@ -124,7 +124,7 @@ def run_records(length: int, parts: int) -> Callable:
                         c = cover[o]
                         out.append({"part": p, "block": block, "blob": squeeze(
                             doc_ids, starts.astype(np.uint32), (gram[o] & _U(2**32 - 1)).astype(np.uint32), (c >> _U(32)).astype(np.uint32),
-                            (c & _U(0xFFFF)).astype(np.uint16), first[o].astype(np.uint32), count[o].astype(np.uint8), (anchor[o] - first[o]).astype(np.uint8))})
+                            (c & _U(2**32 - 1)).astype(np.uint32), first[o].astype(np.uint32), count[o].astype(np.uint8), (anchor[o] - first[o]).astype(np.uint8))})
                 yield pa.RecordBatch.from_pylist(out, schema=pa.schema([("part", pa.int32()), ("block", pa.int64()), ("blob", pa.binary())]))
 
     return made
@@ -149,13 +149,13 @@ def compare_runs(length: int) -> Callable:
         cols, block_of = [], []
         names = table.column("block").to_pylist()
         for i, blob in enumerate(table.column("blob")):
-            ids, starts, *rest = expand(blob.as_py(), "<i8", "<u4", "<u4", "<u4", "<u2", "<u4", "u1", "u1")
+            ids, starts, *rest = expand(blob.as_py(), "<i8", "<u4", "<u4", "<u4", "<u4", "<u4", "u1", "u1")
             doc = ids[np.searchsorted(starts, rest[3], side="right") - 1]
             cols.append([*rest, doc])
             block_of.append(np.full(len(doc), i, np.int32))
         gram, high, low, first, count, before, doc = (np.concatenate(x) for x in zip(*cols, strict=True))
         block = np.concatenate(block_of)
-        cover = (high.astype(np.uint64) << _U(16)) | low
+        cover = (high.astype(np.uint64) << _U(32)) | low
         order = np.lexsort((doc, cover, gram))
         gram, cover, doc, first, count, before, block = (x[order] for x in (gram, cover, doc, first, count, before, block))
         new_gram = _edges(gram)
@@ -419,7 +419,8 @@ def remove_repeats(docs: DataFrame, length: int = 50, with_text: bool = False, b
                 s = front_decode(prefix, sizes, rest)
                 yield pa.RecordBatch.from_pydict({"s": [x[:GRAM] for x in s[:: max(1, len(s) // 100)]]})
 
-    seen = runs.mapInArrow(looked_at, "s binary").orderBy(F.xxhash64("s")).limit(BORDER_SAMPLE).collect()
+    # A row of runs is a block, of which a hundred strings or so are looked at.
+    seen = drawn(runs.mapInArrow(looked_at, "s binary"), BORDER_SAMPLE, 100 * runs.count()).limit(4 * BORDER_SAMPLE).collect()
     seen = sorted(bytes(r[0]) for r in seen)
     borders = sorted({seen[i * len(seen) // n] for i in range(1, n)}) if seen else []
     merged = runs.mapInArrow(split_runs(borders), "part int, block long, blob binary").groupBy("part").applyInArrow(merge_part(length), verdicts)
