@@ -110,3 +110,15 @@ def test_only_candidates_are_counted(spark):
     assert sorted((r.doc_id, r.item_id, r.n_found) for r in done) == [(100, 1, 26), (100, 2, 26)]
     nulls = decontam.contained_items(docs_of(spark, [(None, " ".join(words))]), items.selectExpr("nullif(item_id, 2) as item_id", "text")).collect()
     assert sorted((str(r.doc_id), str(r.item_id), r.n_found) for r in nulls) == [("None", "1", 26), ("None", "None", 26)]
+
+
+def test_a_sentence_of_ones_own_is_found_whatever_its_words(spark):
+    from episode_engine.llm.licenses import SENTENCES, license_scan, marks
+
+    own = {"pd": "this text is dedicated to the public domain", "x": "zz top"}
+    df = spark.createDataFrame([(1, "Hello.\nThis text is DEDICATED to the public domain.\nBye"), (2, "zz  top"), (3, "nothing"), (4, None), (5, "")], "doc_id long, text string")
+    got = {r.doc_id: (r.sentence_ids, r.licenses) for r in license_scan(df, own, (("PD", ("pd",), 0), ("Z", ("x",), 0))).collect()}
+    assert got == {1: ("pd", "PD"), 2: ("x", "Z"), 3: ("", ""), 4: ("", ""), 5: ("", "")}
+    pattern = marks(SENTENCES).removeprefix("(?iu)").split("|")
+    assert len(pattern) < 20 and all(any(w in s.split() for w in pattern) for s in SENTENCES.values())
+    assert license_scan(df, {}, ()).filter("n_licenses > 0").count() == 0
