@@ -156,7 +156,7 @@ def fold_groups(df: DataFrame, keys: list[str], order: list[str], fold: Callable
     A group is held whole: callers see to it that it is small.
     """
     names = [x.split()[0] for x in schema.split(", ")]
-    types = [{"string": pa.string(), "long": pa.int64()}[x.split()[1]] for x in schema.split(", ")]
+    types = [{"string": pa.string(), "long": pa.int64(), "int": pa.int32()}[x.split()[1]] for x in schema.split(", ")]
 
     def starts(t: pa.Table) -> list[int]:
         new = np.zeros(t.num_rows, dtype=bool)

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 from ..functions.model import Episode, span
 from ..plans.storage import written
 from ..sources.streams import segment
-from .scheduling import GROUP, TABLE, compose, front, total_picks, transfer
+from .scheduling import GROUP, TABLE, compose, fold_groups, front, total_picks, transfer
 from .tracking import best_starts
 
 WAYS = ("unordered", "padded", "count_scan_write", "count_scan_write_backward")
@@ -47,21 +47,13 @@ def _nodes(times: dict[str, np.ndarray], e: Episode) -> list[np.ndarray]:
     return [times.get(ty, none) for ty in e.types]
 
 
-def _frame(names: list[str], rows: list[tuple], types: list[pa.DataType]) -> pa.Table:
-    columns = zip(*rows, strict=True) if rows else [()] * len(names)
-    return pa.Table.from_arrays([pa.array(list(c), ty) for c, ty in zip(columns, types, strict=True)], names)
-
-
-_TABLE = [pa.string(), pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.int64()]
-
-
 def segment_tables(ev: DataFrame, episodes: list[Episode], seg_len: int, first: bool = False) -> DataFrame:
     """Tracking (the latest start of each end) and the table of boundary states, for all episodes in one pass over a segment.
 
     With `first` also the end of the first pick.
     """
 
-    def made(t: pa.Table) -> pa.Table:
+    def made(t: pa.Table) -> list[tuple]:
         key, seg = t.column("stream_key")[0].as_py(), t.column("seg")[0].as_py()
         times, border, rows = _times(t), seg * seg_len, []
         for e in episodes:
@@ -74,9 +66,9 @@ def segment_tables(ev: DataFrame, episodes: list[Episode], seg_len: int, first:
                     at = np.searchsorted(start, [r[0] for r in table], side="right").tolist()
                     table = [(*r, int(end[i]) if i < len(end) else None) for r, i in zip(table, at, strict=True)]
                 rows += [(e.episode_id, key, seg, *r) for r in table]
-        return _frame(["episode_id", "stream_key", "seg", "enter", "leave", "n", *["first"][: int(first)]], rows, [*_TABLE, pa.int64()][: 6 + first])
+        return rows
 
-    return layout(ev, episodes, seg_len).groupBy("stream_key", "seg").applyInArrow(made, TABLE + ", first long" * first)
+    return fold_groups(layout(ev, episodes, seg_len), ["stream_key", "seg"], [], made, TABLE + ", first long" * first)
 
 
 def count_segments(ev: DataFrame, episodes: list[Episode], seg_len: int) -> DataFrame:
@@ -160,8 +152,8 @@ def track_levels(times: list[np.ndarray], e: Episode, way: str, border: int, cap
     return start, end, costs
 
 
-def _by_segment(ev: DataFrame, episodes: list[Episode], seg_len: int, ways: tuple[str, ...], capacity: int, rows_of, names: list[str], types: list[pa.DataType], schema: str) -> DataFrame:
-    def made(t: pa.Table) -> pa.Table:
+def _by_segment(ev: DataFrame, episodes: list[Episode], seg_len: int, ways: tuple[str, ...], capacity: int, rows_of, schema: str) -> DataFrame:
+    def made(t: pa.Table) -> list[tuple]:
         key, seg = t.column("stream_key")[0].as_py(), t.column("seg")[0].as_py()
         times, out = _times(t), []
         for e in episodes:
@@ -169,9 +161,9 @@ def _by_segment(ev: DataFrame, episodes: list[Episode], seg_len: int, ways: tupl
             for way in ways:
                 start, end, costs = track_levels(nodes, e, way, seg * seg_len, capacity)
                 out += [(e.episode_id, key, seg, way, *r) for r in rows_of(start, end, costs, seg * seg_len)]
-        return _frame(names, out, types)
+        return out
 
-    return layout(ev, episodes, seg_len).groupBy("stream_key", "seg").applyInArrow(made, schema)
+    return fold_groups(layout(ev, episodes, seg_len), ["stream_key", "seg"], [], made, schema)
 
 
 def track_compacted(ev: DataFrame, episodes: list[Episode], seg_len: int, way: str, capacity: int = 64) -> DataFrame:
@@ -190,7 +182,7 @@ def track_compacted(ev: DataFrame, episodes: list[Episode], seg_len: int, way: s
 
 def level_costs(ev: DataFrame, episodes: list[Episode], seg_len: int, ways: tuple[str, ...] = WAYS, capacity: int = 64) -> DataFrame:
     """What each level of each way has cost in each segment (LEVELS)."""
-    return _by_segment(ev, episodes, seg_len, ways, capacity, lambda s, e, costs, border: costs, LEVELS.replace(",", "").split()[::2], [pa.string(), pa.string(), pa.int64(), pa.string(), pa.int32(), *[pa.int64()] * 7], LEVELS)
+    return _by_segment(ev, episodes, seg_len, ways, capacity, lambda s, e, costs, border: costs, LEVELS)
 
 
 def count_compacted(ev: DataFrame, episodes: list[Episode], seg_len: int, ways: tuple[str, ...] = WAYS, capacity: int = 64) -> DataFrame:
@@ -200,9 +192,8 @@ def count_compacted(ev: DataFrame, episodes: list[Episode], seg_len: int, ways:
         tables = transfer(*front(start, end, ordered=True), border) if len(start) else []
         return [(len(start) if k == 0 else 0, *r) for k, r in enumerate(tables)]
 
-    names = ["episode_id", "stream_key", "seg", "way", "paths", "enter", "leave", "n"]
     schema = "episode_id string, stream_key string, seg long, way string, paths long, enter long, leave long, n long"
-    tables = _by_segment(ev, episodes, seg_len, ways, capacity, rows_of, names, [pa.string(), pa.string(), pa.int64(), pa.string(), *[pa.int64()] * 4], schema)
+    tables = _by_segment(ev, episodes, seg_len, ways, capacity, rows_of, schema)
     # The way is part of the episode's name while tables are composed; the small tables serve two sums.
     named = written(tables.withColumn("episode_id", F.concat_ws("\x1f", "episode_id", "way")).drop("way"), "ways")
     n = total_picks(compose(named.drop("paths"), seg_len))

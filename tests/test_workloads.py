@@ -3,7 +3,6 @@
 from collections import defaultdict
 
 from episode_engine import catalog, workloads
-from episode_engine.functions.model import Episode
 from episode_engine.operators import serial
 from episode_engine.sources import streams as S
 
@@ -51,4 +50,4 @@ def test_machine_profile_counts_tests(spark):
     rows = {r.way: r for r in catalog.QUERIES["w2_machines"](spark, SF).collect()}
     assert rows["count_scan_write"].branches == 2 * rows["unordered"].branches > 0
     assert rows["padded"].instructions > rows["unordered"].instructions
-    assert rows["segment_machines"].branches > 0 and Episode.of("A")
+    assert rows["segment_machines"].branches > 0
