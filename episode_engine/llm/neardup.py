@@ -376,6 +376,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, rows: in
     # forests; inside a group all that are in different components are compared on full sets, and links come as forests too.
     named = buckets.join(found, "doc_id", "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
     forest = written(candidate_forest(grid(named, CHUNK, ITEMS), reps, least, percent).distinct(), "forest")
+    spent = [reps, buckets, star, first_edges, forest]
     if not forest.isEmpty():
         groups = written(components(forest), "groups")
         members = groups.join(reps.select("doc_id", "n"), "doc_id").join(found.withColumnRenamed("component", "c"), "doc_id", "left")
@@ -383,6 +384,8 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, rows: in
         sets = full_sets(docs, groups.select("doc_id"), groups.count(), width)
         more = written(spanning_links(grid(members, CHUNK, ITEMS), sets, percent), "links")
         found = components(first_edges.select("a", "b").union(more)) if not more.isEmpty() else found
+        spent += [groups, sets, more]
+    discard(*spent)  # what is left to do reads sets' fingerprints and components only
     comp = classes.join(found.withColumnRenamed("doc_id", "rep"), "rep", "left").select("f1", "f2", F.coalesce("component", "rep").alias("component"))
     out = sigs.select("doc_id", "n", "f1", "f2").join(comp, ["f1", "f2"], "left")
     component = F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component"))
