@@ -83,6 +83,16 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.quality(table(spark, sf_dir, "documents"))
 
 
+def base_unigrams(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What SQL can express of op9: all but the tree's own score."""
+    return op9_context_tree(spark, sf_dir).select("doc_id", "held_out", "n_tokens", "n_known", "train_tokens", F.round("base_score", 3).alias("base_score"))
+
+
+def base_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What SQL can express of op10: all but the label model's verdict."""
+    return op10_quality_rules(spark, sf_dir).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed")
+
+
 def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     from corpus_pipeline import run
 
@@ -91,7 +101,7 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = [op1_license_scan, op2_decontaminate, op3_best_two_fit, op4_suffix_dedup, op5_hyperminhash, op6_toxicity, op7_reply_trees, op8_url_filter, op9_context_tree, op10_quality_rules]
-    return {f.__name__: f for f in [*found, pipeline]}
+    return {f.__name__: f for f in [*found, base_unigrams, base_quality, pipeline]}
 
 
 def _sql_list(xs: tuple | list) -> str:
@@ -173,5 +183,35 @@ SELECT page_id, host, path, rule, coalesce(v, 'allow') AS verdict FROM h LEFT JO
 )
 
 
+WORDS = r"list_filter(regexp_split_to_array({}, '[\x20\x09-\x0D]+'), lambda y: y <> '')"
+OP10_BASE = (
+    r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, coalesce(text, '') AS x FROM documents), w AS (SELECT r, doc_id, x, """
+    + WORDS.format("x")
+    + r""" AS w FROM d),
+g AS (SELECT r, j, array_to_string(w[j : j + 2], ' ') AS t FROM (SELECT r, w, unnest(range(1, len(w) - 1)) AS j FROM w)),
+m AS (SELECT r, j FROM g QUALIFY count(*) OVER (PARTITION BY r, t) > 1),
+c AS (SELECT r, count(DISTINCT p) AS n FROM (SELECT r, unnest([j, j + 1, j + 2]) AS p FROM m) GROUP BY r),
+l AS (SELECT r, sum(k - 1) AS n FROM (SELECT r, y, count(*) AS k FROM (SELECT r, unnest(string_split(x, chr(10))) AS y FROM d) WHERE regexp_matches(y, '[^\x20\x09-\x0D]') GROUP BY r, y) GROUP BY r),
+f AS (SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(length(array_to_string(w, '')) AS BIGINT) AS word_chars, CAST(length(regexp_replace(x, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols,
+      CAST(coalesce(l.n, 0) AS BIGINT) AS n_dup_lines, coalesce(c.n, 0) AS n_repeat_words FROM w LEFT JOIN c USING (r) LEFT JOIN l USING (r))
+SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM f"""
+)
+#: crc32 of a short text, bit by bit: the polynomial is fixed.
+CRC = """xor(4294967295, list_reduce(list_prepend(CAST(4294967295 AS BIGINT), list_transform(string_split({}, ''), lambda c: CAST(ascii(c) AS BIGINT))),
+ lambda a, b: list_reduce(list_prepend(xor(a, b), list_transform(range(8), lambda i: CAST(0 AS BIGINT))), lambda p, q: CASE WHEN p & 1 = 1 THEN xor(p >> 1, 3988292384) ELSE p >> 1 END)))"""
+OP9_BASE = (
+    r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, """
+    + CRC.format("CAST(doc_id AS VARCHAR)")
+    + r""" % 7 = 2 AS held_out, list_append("""
+    + WORDS.format("translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')")
+    + r""", '') AS w FROM documents),
+t AS (SELECT r, held_out, unnest(w) AS x FROM d), c AS (SELECT x, count(*) AS c FROM t WHERE NOT held_out GROUP BY x), a AS (SELECT sum(c) AS n, count(*) AS v FROM c),
+s AS (SELECT r, count(*) AS n_tokens, count(c) AS n_known, sum(log10((coalesce(c, 0) + 1) / (n + v + 1))) AS b FROM t LEFT JOIN c USING (x), a GROUP BY r)
+SELECT doc_id, held_out, n_tokens, n_known, CAST(n AS BIGINT) AS train_tokens, round(b, 3) AS base_score FROM d JOIN s USING (r), a"""
+)
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op1_license_scan": _op1(), "op2_decontaminate": OP2, "op5_hyperminhash": OP5, "op7_reply_trees": OP7, "op8_url_filter": OP8}
+    return {"base_quality": OP10_BASE, "base_unigrams": OP9_BASE, "op1_license_scan": _op1(), "op2_decontaminate": OP2, "op5_hyperminhash": OP5, "op7_reply_trees": OP7, "op8_url_filter": OP8}
