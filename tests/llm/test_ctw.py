@@ -81,3 +81,57 @@ def test_empty_and_untrained(spark):
     alone = next(i for i in range(100) if zlib.crc32(str(i).encode()) % 7 == 2)
     (r,) = ctw.score(spark.createDataFrame([(alone, "a b")], "doc_id long, text string")).collect()
     assert r.held_out and r.n_known == 0 and r.train_tokens == 0 and abs(r.score + 4 * math.log10(256)) < 1e-6
+
+
+def test_scores_equal_the_tree_written_out(spark):
+    """A training text's score by the recursion over all depths and decisions, with dictionaries; every sequence of it is known."""
+    from functools import cache
+
+    rng = random.Random(9)
+    rows = [(i, " ".join(rng.choice(["ab", "ba", "c", "abc"]) for _ in range(12))) for i in range(30)]
+    depth, seen, training = 2, Counter(), [r for r in rows if zlib.crc32(str(r[0]).encode()) % 7 != 2]
+    raw = lambda t: b"\n" * depth + b" ".join(t.encode().split()) + b"\n"
+    data = {d: ctw.END * depth + ctw.stream(t)[1] for d, t in rows}
+    assert all(data[d] == raw(t) for d, t in rows)
+    for d, _ in training:
+        x = data[d]
+        for i in range(depth, len(x)):
+            seen[x[i - 1], x[i - 2], x[i]] += 1
+
+    @cache
+    def node(context: tuple, prefix: int, bit: int) -> tuple[int, int]:
+        """How often a 0 and a 1 followed the first `bit` bits of a byte after these bytes (the latest first)."""
+        own = [0, 0]
+        for (a, b, byte), n in seen.items():
+            if (a, b)[: len(context)] == context and byte >> (8 - bit) == prefix:
+                own[byte >> (7 - bit) & 1] += n
+        return own[0], own[1]
+
+    def estimate(zeros: int, ones: int) -> float:
+        return math.lgamma(zeros + 0.5) + math.lgamma(ones + 0.5) - math.lgamma(zeros + ones + 1) - math.log(math.pi)
+
+    @cache
+    def mixed(context: tuple, prefix: int, bit: int) -> float:
+        own = estimate(*node(context, prefix, bit))
+        if len(context) == depth:
+            return own
+        children = {(a, b)[: len(context) + 1] for a, b, byte in seen if (a, b)[: len(context)] == context and byte >> (8 - bit) == prefix}
+        below = sum(mixed(c, prefix, bit) for c in children)
+        top = max(own, below)
+        return top + math.log((math.exp(own - top) + math.exp(below - top)) / 2)
+
+    def predicted(context: tuple, full: tuple, prefix: int, bit: int, one: int) -> float:
+        counts = node(context, prefix, bit)
+        p = (counts[one] + 0.5) / (sum(counts) + 1)
+        if len(context) == depth:
+            return p
+        w = math.exp(math.log(0.5) + estimate(*counts) - mixed(context, prefix, bit))
+        return w * p + (1 - w) * predicted(full[: len(context) + 1], full, prefix, bit, one)
+
+    got = {r.doc_id: r.score for r in ctw.score(spark.createDataFrame(rows, "doc_id long, text string"), depth=depth).collect()}
+    for d, _ in training[:6]:
+        x, total = data[d], 0.0
+        for i in range(depth, len(x)):
+            full = (x[i - 1], x[i - 2])
+            total += sum(math.log10(predicted((), full, x[i] >> (8 - bit), bit, x[i] >> (7 - bit) & 1)) for bit in range(8))
+        assert abs(got[d] - total) < 1e-3, (got[d], total)
