@@ -162,12 +162,16 @@ def full_sets(docs: DataFrame, ids: DataFrame, most: int, width: int) -> DataFra
 def verified(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> DataFrame:
     """pairs(a, b), distinct and with one a for each b, that hold 100 * intersection >= percent * union on their full sets.
 
-    Each b's set travels to its a; a sorted partition holds one a's set at a time.
+    Each b's set travels to its a; a sorted partition holds one a's set at a time. An a of more than CHUNK partners is
+    dealt to several tasks.
     """
+    hot = pairs.groupBy("a").agg(F.count("*").alias("_n")).filter(F.col("_n") > CHUNK)  # fewer rows than pairs / CHUNK
+    salt = F.when(F.col("_n").isNull(), F.lit(0).cast("long")).otherwise(F.pmod(F.xxhash64("b"), F.ceil(F.col("_n") / CHUNK)))
     ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b"))).distinct()
     made = full_sets(docs, ids, pairs.count() * 2, width)
-    wanted = pairs.select("a", "b").union(pairs.select("a", F.col("a").alias("b")).distinct())
-    rows = wanted.join(made.withColumnRenamed("doc_id", "b"), "b").select("a", (F.col("a") != F.col("b")).alias("other"), "b", "s")
+    salted = pairs.select("a", "b").join(hot, "a", "left").select("a", salt.alias("salt"), "b")
+    wanted = salted.union(salted.select("a", "salt", F.col("a").alias("b")).distinct())
+    rows = wanted.join(made.withColumnRenamed("doc_id", "b"), "b").select("a", "salt", (F.col("a") != F.col("b")).alias("other"), "b", "s")
 
     def compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = np.zeros(0, np.uint64)
@@ -183,7 +187,7 @@ def verified(pairs: DataFrame, docs: DataFrame, width: int, percent: int) -> Dat
                     keep.append((a.as_py(), b.as_py()))
             yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in keep], pa.int64()) for i in (0, 1)], ["a", "b"])
 
-    dealt = rows.repartition(partitions(pairs.sparkSession), "a").sortWithinPartitions("a", "other", "b")
+    dealt = rows.repartition(partitions(pairs.sparkSession), "a", "salt").sortWithinPartitions("a", "salt", "other", "b")
     return dealt.mapInArrow(compared, "a long, b long")
 
 
