@@ -232,7 +232,7 @@ for _name, _f in {"schedule_fold": scheduling.schedule_fold, "schedule_kernel":
 counter("schedule_segments", MAIN_SQL, lambda ev, ep, unit: scheduling.schedule_segments(tracking.track_window_asof(ev, ep, 200 * unit), 200 * unit), one)
 CHOSEN_SQL = f"""WITH RECURSIVE {sql_levels(MAIN[1], MAIN[2], EVENTS, True)}, g AS (SELECT min(f) AS f FROM l2 UNION ALL SELECT (SELECT min(f) FROM l2 WHERE s > g.f) FROM g WHERE EXISTS (SELECT 1 FROM l2 WHERE s > g.f))
  SELECT l2.s AS t_start, g.f AS t_end FROM g JOIN l2 USING (f)"""
-tracker("schedule_select", lambda ev, ep, unit: scheduling.schedule_select(tracking.track_window_asof(ev, ep)), CHOSEN_SQL)
+tracker("schedule_select", lambda ev, ep, unit: scheduling.schedule_select(tracking.track_window_asof(ev, ep, 200 * unit), 200 * unit), CHOSEN_SQL)
 
 # Mining
 THETA = "(SELECT CAST(0.03 * count(*) AS BIGINT) FROM events)"

@@ -45,8 +45,14 @@ def schedule_kernel(occ: DataFrame) -> DataFrame:
     return schedule_select(occ).groupBy(*GROUP).agg(F.count("*").alias("n"))
 
 
-def schedule_select(occ: DataFrame) -> DataFrame:
-    """The chosen occurrences themselves."""
+def schedule_select(occ: DataFrame, seg_len: int | None = None) -> DataFrame:
+    """The chosen occurrences themselves.
+
+    With seg_len a segment at a time: tables say which end enters each segment, and greedy goes on from there. Without, a
+    whole stream is one group.
+    """
+    if seg_len is not None:
+        return _select_segments(occ, seg_len)
 
     def chosen(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["t_end", "t_start"], ascending=[True, False])
@@ -224,3 +230,35 @@ def total_picks(tables: DataFrame) -> DataFrame:
 def schedule_segments(occ: DataFrame, seg_len: int) -> DataFrame:
     """Tables for each segment, one for each FAN neighbours, then one pass over these: no round that depends on the data."""
     return total_picks(compose(transfer_tables(occ, seg_len), seg_len))
+
+
+def entering(tables: DataFrame) -> DataFrame:
+    """The end that enters each segment, if nothing was picked before the first one. A task passes one stream's tables, not its occurrences."""
+
+    def states(t: pa.Table) -> list[tuple]:
+        (seg, enter, leave, n), state, out = _numbers(t), NEVER, []
+        edge = np.flatnonzero(np.concatenate([[True], seg[1:] != seg[:-1], [True]]))
+        key = tuple(t.column(c)[0].as_py() for c in GROUP)
+        for i, j in zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True):
+            out.append((*key, int(seg[i]), state))
+            k = i + int(np.searchsorted(enter[i:j], state, side="right")) - 1
+            state = int(leave[k]) if n[k] else state
+        return out
+
+    return fold_groups(tables, GROUP, ["seg", "enter"], states, "episode_id string, stream_key string, seg long, state long")
+
+
+def _select_segments(occ: DataFrame, seg_len: int) -> DataFrame:
+    rows = occ.select(*GROUP, floor_div(F.col("t_end"), seg_len).alias("seg"), "t_start", "t_end")
+    rows = rows.join(entering(transfer_tables(occ, seg_len)), [*GROUP, "seg"])
+
+    def chosen(t: pa.Table) -> list[tuple]:
+        start, end = front(t.column("t_start").to_numpy(), t.column("t_end").to_numpy())
+        key, out = tuple(t.column(c)[0].as_py() for c in GROUP), []
+        i = int(np.searchsorted(start, t.column("state")[0].as_py(), side="right"))
+        while i < len(start):
+            out.append((*key, int(start[i]), int(end[i])))
+            i = int(np.searchsorted(start, end[i], side="right"))
+        return out
+
+    return fold_groups(rows, [*GROUP, "seg"], [], chosen, "episode_id string, stream_key string, t_start long, t_end long")

@@ -141,3 +141,10 @@ def test_schedules_agree_on_repeated_ends(spark):
     occ = spark.createDataFrame(rows, "episode_id string, stream_key string, t_start long, t_end long").withColumn("seg", F.lit(0).cast("long"))
     want = scheduling.schedule_fold(occ).first().n
     assert all(f(occ).first().n == want for f in (scheduling.schedule_kernel, scheduling.schedule_islands, lambda o: scheduling.schedule_segments(o, 4)))
+
+
+def test_chosen_of_segments_are_those_of_the_whole_stream(spark):
+    occ = tracking.track_window_asof(stream(spark, 5, n=80), EPS)
+    rows = lambda df: sorted((r.episode_id, r.stream_key, r.t_start, r.t_end) for r in df.collect())
+    want = rows(scheduling.schedule_select(occ))
+    assert want and all(rows(scheduling.schedule_select(occ, length)) == want for length in (4, 33, 500))
