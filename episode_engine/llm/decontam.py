@@ -9,7 +9,6 @@ counted on all of the item's shingles. DataFrame functions only.
 
 from __future__ import annotations
 
-import math
 from functools import partial
 
 from pyspark.sql import Column, DataFrame
@@ -94,8 +93,3 @@ def contained_items(docs: DataFrame, items: DataFrame, width: int = 5, share: fl
     return hits.filter(F.col("n_found") >= needed).select(
         "doc_id", "item_id", "n_shingles", "n_found", (F.col("n_found") / F.col("n_shingles")).alias("containment")
     )
-
-
-def needed_shingles(n: int, share: float) -> int:
-    """The least number of an item's n shingles that make the share."""
-    return math.ceil(n * share - 1e-9)

@@ -31,7 +31,6 @@ SAMPLE = 20_000
 STEMS = 60
 #: Standard errors that are taken off a stem's log ratio.
 CHANCE = 2.2
-VOTERS = 7
 
 
 def _words(text: str) -> list[str]:
