@@ -69,3 +69,16 @@ def test_state_stays_within_reach():
 def test_nothing_in_nothing_out(spark, tmp_path):
     put(spark, str(tmp_path), 0, [("x", "C", 5)])
     assert online.run_available(online.online_count(replayed(spark, str(tmp_path)), EPISODES, "1 second"), "update").count() == 0
+
+
+def test_interval_join_meets_neighbours_only(spark, tmp_path):
+    """Equal to all pairs, repeats and bucket borders included, and dealt by time: one key for a whole stream compares all with all."""
+    rng = random.Random(9)
+    rows = [("x", rng.choice("ABC"), (2016 + rng.randint(0, 400)) * SECOND // 2) for _ in range(300)] + [("y", "A", 1008 * SECOND), ("y", "B", 1017 * SECOND), ("y", "B", 1017 * SECOND), ("y", "B", 1017 * SECOND + 1), ("y", "B", 1010 * SECOND)]
+    put(spark, str(tmp_path), 0, rows)
+    joined = online.interval_join(replayed(spark, str(tmp_path)), replayed(spark, str(tmp_path)), "A", "B", 2 * SECOND, 9 * SECOND, "10 minutes")
+    keys = joined._jdf.queryExecution().analyzed().toString().split("Join Inner, ")[1].split("\n")[0]
+    assert "bucket" in keys and "meets" in keys
+    got = sorted((r.stream_key, r.t_start, r.t_end) for r in online.run_available(joined, "append").collect())
+    want = sorted((k, a, b) for k, x, a in rows if x == "A" for j, y, b in rows if y == "B" and j == k and 2 * SECOND < b - a <= 9 * SECOND)
+    assert got == want and len(want) > 200
