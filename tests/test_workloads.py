@@ -1,8 +1,10 @@
 """Workloads of the catalog that have to be whole: every episode on every step and by every counter, against the serial one."""
 
+import random
 from collections import defaultdict
 
 from episode_engine import catalog, workloads
+from episode_engine.functions.model import Episode
 from episode_engine.operators import serial
 from episode_engine.sources import streams as S
 
@@ -51,3 +53,20 @@ def test_machine_profile_counts_tests(spark):
     assert rows["count_scan_write"].branches == 2 * rows["unordered"].branches > 0
     assert rows["padded"].instructions > rows["unordered"].instructions
     assert rows["segment_machines"].branches > 0
+
+
+def test_serial_counter_streams_its_rows(spark):
+    """Batches of seven rows, with instants and streams that go on in the next batch; no stream is a group that Python holds whole."""
+    rng = random.Random(3)
+    rows = [(rng.choice("xyz"), rng.choice("ABC"), rng.randint(0, 150), 1) for _ in range(400)] + [("only", "C", 5, 1)]
+    ev = spark.createDataFrame(rows, "stream_key string, event_type string, t long, mult long")
+    eps = [Episode.of("A", "B", gaps=[(0, 8)]), Episode.of("A", "A", "B", gaps=[(1, 9), (0, 6)]), Episode.of("B", "C", "B", gaps=[(2, 7)] * 2), Episode.of("C")]
+    want = {(e.episode_id, k): serial.count_instants(e, serial.instants([t for j, _, t, _ in rows if j == k], [ty for j, ty, _, _ in rows if j == k])) for e in eps for k in ("x", "y", "z", "only")}
+    assert max(want.values()) > 5
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 7)
+    try:
+        for found in (serial.count_serial(ev, eps), serial.count_serial(ev, eps, evict=True), serial.count_episode_parallel(ev, eps)):
+            assert "InPandas" not in found._jdf.queryExecution().executedPlan().toString()
+            assert {(r.episode_id, r.stream_key): r.n for r in found.collect()} == want
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
