@@ -148,3 +148,13 @@ def test_chosen_of_segments_are_those_of_the_whole_stream(spark):
     rows = lambda df: sorted((r.episode_id, r.stream_key, r.t_start, r.t_end) for r in df.collect())
     want = rows(scheduling.schedule_select(occ))
     assert want and all(rows(scheduling.schedule_select(occ, length)) == want for length in (4, 33, 500))
+
+
+def test_jumps_cross_segments(spark):
+    """Successor pointers from windows of segments equal those of a whole stream, and the fold."""
+    rng = random.Random(8)
+    occ = spark.createDataFrame([("e", k, s, s + rng.randint(1, 30)) for k in "ab" for s in rng.sample(range(400), 150)] + [("e", "c", 3, 900), ("e", "c", 901, 905)], "episode_id string, stream_key string, t_start long, t_end long")
+    want = counts(scheduling.schedule_fold(scheduling.by_end(occ)))
+    assert counts(scheduling.schedule_jump(occ)) == want
+    for seg_len in (7, 20, 45):
+        assert counts(scheduling.schedule_jump(occ, seg_len)) == want
