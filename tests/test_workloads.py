@@ -70,3 +70,24 @@ def test_serial_counter_streams_its_rows(spark):
             assert {(r.episode_id, r.stream_key): r.n for r in found.collect()} == want
     finally:
         spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
+def equals_sql(spark, place, names, where="TRUE", copies=2):
+    """Queries against their SQL over `events` of the smallest tables, each row `copies` times."""
+    import duckdb
+
+    con = duckdb.connect()
+    con.sql("SET TimeZone = 'UTC'")
+    con.sql(f"COPY (SELECT event_id + 100000 * i AS event_id, * EXCLUDE (event_id, i) FROM '{SF}/events.parquet', range({copies}) r(i) WHERE {where}) TO '{place}/events.parquet' (FORMAT parquet)")
+    con.sql(f"CREATE VIEW events AS FROM '{place}/events.parquet'")
+    for name in names:
+        want = con.sql(catalog.SQL[name])
+        got = catalog.QUERIES[name](spark, str(place)).select(*want.columns)
+        assert sorted(map(str, map(tuple, got.collect()))) == sorted(map(str, want.fetchall())), name
+    return con
+
+
+def test_ladder_of_repeats_and_of_a_late_start(spark, tmp_path):
+    (tmp_path / "late").mkdir()
+    equals_sql(spark, tmp_path, ["dataset_ladder"])
+    equals_sql(spark, tmp_path / "late", ["dataset_ladder"], "ts > TIMESTAMP '2024-01-02'", 1)
