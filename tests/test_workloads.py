@@ -87,6 +87,10 @@ def equals_sql(spark, place, names, where="TRUE", copies=2):
     return con
 
 
+def test_rows_that_fall_together(spark, tmp_path):
+    equals_sql(spark, tmp_path, ["stream_events"])
+
+
 def test_ladder_of_repeats_and_of_a_late_start(spark, tmp_path):
     (tmp_path / "late").mkdir()
     equals_sql(spark, tmp_path, ["dataset_ladder"])
