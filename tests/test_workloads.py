@@ -95,3 +95,8 @@ def test_ladder_of_repeats_and_of_a_late_start(spark, tmp_path):
     (tmp_path / "late").mkdir()
     equals_sql(spark, tmp_path, ["dataset_ladder"])
     equals_sql(spark, tmp_path / "late", ["dataset_ladder"], "ts > TIMESTAMP '2024-01-02'", 1)
+
+
+def test_costs_and_candidates_follow_the_table(spark, tmp_path):
+    con = equals_sql(spark, tmp_path, ["cost_launches"], "event_type <> 'error'", 1)
+    assert con.sql(f"SELECT max(steps) FROM ({catalog.SQL['cost_launches']}) WHERE way = 'padded'").fetchall() == [(9,)]  # the fourth type never comes
