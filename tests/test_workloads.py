@@ -98,5 +98,5 @@ def test_ladder_of_repeats_and_of_a_late_start(spark, tmp_path):
 
 
 def test_costs_and_candidates_follow_the_table(spark, tmp_path):
-    con = equals_sql(spark, tmp_path, ["cost_launches"], "event_type <> 'error'", 1)
+    con = equals_sql(spark, tmp_path, ["cost_launches", "mine_prune"], "event_type <> 'error'", 1)
     assert con.sql(f"SELECT max(steps) FROM ({catalog.SQL['cost_launches']}) WHERE way = 'padded'").fetchall() == [(9,)]  # the fourth type never comes
