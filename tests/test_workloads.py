@@ -100,3 +100,9 @@ def test_ladder_of_repeats_and_of_a_late_start(spark, tmp_path):
 def test_costs_and_candidates_follow_the_table(spark, tmp_path):
     con = equals_sql(spark, tmp_path, ["cost_launches", "mine_prune"], "event_type <> 'error'", 1)
     assert con.sql(f"SELECT max(steps) FROM ({catalog.SQL['cost_launches']}) WHERE way = 'padded'").fetchall() == [(9,)]  # the fourth type never comes
+
+
+def test_chains_planted_into_events(spark, tmp_path):
+    con = equals_sql(spark, tmp_path, ["w7_generator"], "TRUE", 1)
+    starts = con.sql(f"SELECT count(*) FROM events WHERE event_id % {S.CHAIN_EVERY} = 0").fetchall()[0][0]
+    assert catalog.QUERIES["w7_generator"](spark, str(tmp_path)).agg({"n": "sum"}).first()[0] > starts // 2
